@@ -26,8 +26,10 @@ GRADES = 3
 #: Labelled documents the model is fitted on at most, chosen by a hash of the id.
 MAX_TRAIN = 12_000
 #: Words must stand in this many training documents to get a weight.
-MIN_DOCS = 8
-STRONG = 4.0
+MIN_DOCS = 10
+STRONG = 8.0
+#: Tail probability from which a document is kept.
+KEEP_FROM = 0.5
 
 _CLASS = np.zeros(256, np.uint8)
 _CLASS[97:123] = 1
@@ -69,8 +71,8 @@ class Ordinal:
         return 1 / (1 + np.exp(-np.clip(score[:, None] - self.threshold[None, :], -40, 40)))
 
 
-def fit(docs: list[np.ndarray], grades: np.ndarray, rounds: int = 250, rate: float = 0.5, l2: float = 2e-5) -> Ordinal | None:
-    """Fits by adaptive gradient steps on the log likelihood of the grades, classes weighted alike; None without two grades."""
+def fit(docs: list[np.ndarray], grades: np.ndarray, rounds: int = 300, rate: float = 0.5, l2: float = 1e-5) -> Ordinal | None:
+    """Fits by adaptive gradient steps on the log likelihood of the grades; None without two grades."""
     if len(np.unique(grades)) < 2:
         return None
     n, size = len(docs), 1 << BITS
@@ -88,10 +90,6 @@ def fit(docs: list[np.ndarray], grades: np.ndarray, rounds: int = 250, rate: flo
             use |= (np.abs(z) >= STRONG) & (df >= MIN_DOCS)
     live = use[feature]
     owner, feature = owner[live], feature[live]
-    share = np.bincount(grades, minlength=GRADES) / n
-    cost = (1 / np.maximum(share, 1e-9))[grades]
-    cost /= cost.mean()
-    above = (grades[:, None] > np.arange(GRADES - 1)[None, :]).astype(float)
     # without a feature a document has the prior's odds
     prior = np.clip([(grades > k).mean() for k in range(GRADES - 1)], 1e-3, 1 - 1e-3)
     model = Ordinal(np.zeros(size), np.sort(-np.log(prior / (1 - prior))))
@@ -104,17 +102,16 @@ def fit(docs: list[np.ndarray], grades: np.ndarray, rounds: int = 250, rate: flo
         rows = np.arange(n)
         lo, hi = t[rows, grades], t[rows, grades + 1]
         p = np.maximum(lo - hi, 1e-9)
-        d_score = cost * (lo * (1 - lo) - hi * (1 - hi)) / p / n
+        d_score = (lo * (1 - lo) - hi * (1 - hi)) / p / n
         d_thr = np.zeros(GRADES - 1)
         for k in range(GRADES - 1):
-            slope = tail[:, k] * (1 - tail[:, k]) * cost / p / n
+            slope = tail[:, k] * (1 - tail[:, k]) / p / n
             d_thr[k] = (slope * ((grades == k).astype(float) - (grades == k + 1))).sum()
         g = np.bincount(feature, d_score[owner], size) - l2 * model.weight
         gw += g * g
         gt += d_thr * d_thr
         model.weight += rate * g / np.sqrt(gw)
         model.threshold = np.sort(model.threshold + rate * 0.1 * d_thr / np.sqrt(gt))
-    del above
     return model
 
 
