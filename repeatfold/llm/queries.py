@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from repeatfold.llm import license_scan, mixing, packing, quality, token_count, topk, url_filter
+from repeatfold.llm import license_scan, mixing, near_dup, packing, quality, token_count, topk, url_filter
 from repeatfold.llm.common import table
 
 URL_RULES = [("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/")]
@@ -52,6 +52,10 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_count.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
 
 
+def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_url_filter": op1_url_filter,
@@ -61,6 +65,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_packing": op7_packing,
         "op8_mixing": op8_mixing,
         "op9_token_counts": op9_token_counts,
+        "op10_near_duplicates": op10_near_duplicates,
     }
 
 
@@ -102,10 +107,23 @@ r as (select *, row_number() over (partition by query_id order by score desc, ve
 select query_id, rank, vec_id, score from r where rank <= 10"""
 
 
+def near_duplicates_sql() -> str:
+    return """
+with recursive v as materialized (select row_number() over () as r, vec_id, list_transform(embedding, lambda x: x::double) as e,
+  embedding is not null and len(embedding) > 0 and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0 as ok from embeddings),
+u as materialized (select r, vec_id, e, sqrt(list_sum(list_transform(e, lambda x: x * x))) as n from v where ok),
+l as materialized (select a.r as a, b.r as b, b.vec_id as w from u a join u b on a.r <> b.r and len(a.e) = len(b.e) where list_sum(list_transform(list_zip(a.e, b.e), lambda z: z[1] * z[2])) / (a.n * b.n) >= 0.9),
+reach(a, w) as (select r, vec_id from v union select l.a, reach.w from reach join l on l.b = reach.a),
+comp as (select a, min(w) as c from reach group by a),
+links as (select a, count(*) as n from l group by a)
+select vec_id, coalesce(n, 0)::bigint as n_links, c as component_id, vec_id = c as kept from v join comp on comp.a = r left join links on links.a = r"""
+
+
 def oracle_sql() -> dict[str, str]:
     return {
         "op1_url_filter": url_filter_sql(),
         "op4_license_scan": license_scan.scan_sql(),
         "op6_topk_search": topk_sql(),
         "op8_mixing": mixing.calibrate_sql(),
+        "op10_near_duplicates": near_duplicates_sql(),
     }
