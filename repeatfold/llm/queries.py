@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from repeatfold.llm import license_scan, mixing, near_dup, ngram_join, packing, quality, token_count, topk, url_filter
+from repeatfold.llm import license_scan, mixing, near_dup, ngram_join, packing, quality, substring_dedup, token_count, topk, url_filter
 from repeatfold.llm.common import table
 
 URL_RULES = [("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/")]
@@ -24,6 +24,10 @@ def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(pages.select("page_id", "url"), URL_RULES, url_filter.link_edges(pages)).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.dedup(table(spark, sf_dir, "documents").select("doc_id", "text"), with_text=False)
+
+
 def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.similar_components(table(spark, sf_dir, "documents"))
 
@@ -63,6 +67,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_url_filter": op1_url_filter,
+        "op2_substring_dedup": op2_substring_dedup,
         "op3_ngram_join": op3_ngram_join,
         "op4_license_scan": op4_license_scan,
         "op5_quality_classifier": op5_quality_classifier,
