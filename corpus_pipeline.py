@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from repeatfold.llm import mixing, packing, quality
+from repeatfold.llm import mixing, ngram_join, packing, quality, substring_dedup
 from repeatfold.llm.common import cut, table
 from repeatfold.llm.queries import tokenizer_path
 
@@ -18,6 +19,19 @@ def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return scores.where("keep").select(*COLUMNS)
 
 
+def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near duplicates the document with the smallest id stays; of repeated rows one. Rows without an id stay."""
+    found = ngram_join.similar_components(docs)
+    stay = found.where(F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))).select("doc_id").distinct()
+    kept = docs.alias("d").join(stay.alias("s"), F.col("d.doc_id").eqNullSafe(F.col("s.doc_id")), "left_semi")
+    return kept.withColumn("_text", F.xxhash64("text")).dropDuplicates(["doc_id", "_text"]).select(*COLUMNS)
+
+
+def strip_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Passages of 35 words or more that stand elsewhere too are cut out of the texts; every document stays, with what is left of it."""
+    return substring_dedup.dedup(docs).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
+
+
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents are sampled by probabilities calibrated to the source, language and topic targets."""
     return mixing.calibrate(docs).where("kept").select(*COLUMNS)
@@ -28,7 +42,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.as_sequences(packing.pack(docs, tokenizer_path("word_bpe_49k.json")))
 
 
-STAGES = [("quality", classify), ("mixing", mix), ("packing", pack)]
+STAGES = [("quality", classify), ("ngram_join", one_of_each), ("substring_dedup", strip_repeats), ("mixing", mix), ("packing", pack)]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
