@@ -36,6 +36,8 @@ SLOT_BITS = 20
 #: Slots of frequent tokens that are sent to all tasks at most.
 HOT_SLOTS = 1 << 16
 FIRST = 4
+#: Binary logarithm of the count, and one more, from which a token is never one of the first.
+VERY_HOT = 13
 SPLIT = 4_000
 LEAF, FAN = 64, 8
 
@@ -65,8 +67,8 @@ def class_of(h: np.ndarray) -> int | None:
 
 
 def bitmap(h: np.ndarray) -> np.ndarray:
-    """Token bits, 1024 at least and about two for each token; a wider map folds to a narrower one by OR."""
-    bits = max(10, int(2 * len(h) - 1).bit_length())
+    """Token bits, 1024 at least and four or more for each token; a wider map folds to a narrower one by OR."""
+    bits = max(10, int(4 * len(h) - 1).bit_length())
     out = np.zeros(1 << bits, bool)
     out[(h & np.uint64((1 << bits) - 1)).astype(np.int64)] = True
     return np.packbits(out, bitorder="little").view("<u8")
@@ -88,13 +90,13 @@ class SignatureTree:
     """Members of a group by size; ``candidates()`` yields the pairs that bounds and known components leave."""
 
     def __init__(self, size: np.ndarray, maps: list[np.ndarray], comp: np.ndarray, side: np.ndarray | None, least: int) -> None:
-        self.least = least
+        self.least, self.maps, self.sizes = least, maps, size.tolist()
         self.order = np.lexsort((comp, size))
         self.size, self.comp = size[self.order], comp[self.order]
         self.side = None if side is None else side[self.order]
         words = min(len(m) for m in maps)
-        # the members' maps at one width: the smallest one's, or 4096 bits if that is less
-        self.words = min(words, 64)
+        # the members' maps at one width, the smallest one's, or 65,536 bits if that is less
+        self.words = min(words, 1024)
         self.bits = np.stack([fold(maps[i], self.words) for i in self.order])
         self.count = popcount(self.bits)
         self.levels = [self._summary(LEAF, self.bits, self.size, self.size, self.count, self.comp, self.comp)]
@@ -145,8 +147,21 @@ class SignatureTree:
             shared = popcount(self.bits[i] & self.bits[j])
             most = np.minimum(self.size[i] - (self.count[i] - shared), self.size[j] - (self.count[j] - shared))
             ok = links(most, self.size[i], self.size[j], self.least)
+            i, j = self.order[i[ok]], self.order[j[ok]]
+            ok = np.array([self._wide(a, b) for a, b in zip(i.tolist(), j.tolist(), strict=True)], bool)
             if ok.any():
-                yield self.order[i[ok]], self.order[j[ok]]
+                yield i[ok], j[ok]
+
+    def _wide(self, a: int, b: int) -> bool:
+        """The bound once more, at the width of the narrower of the two members' own maps."""
+        x, y = self.maps[a], self.maps[b]
+        width = min(len(x), len(y))
+        if width == self.words:
+            return True
+        x, y = (m if len(m) == width else fold(m, width) for m in (x, y))
+        n, m, shared = self.sizes[a], self.sizes[b], int(popcount(x & y))
+        most = min(n - (int(popcount(x)) - shared), m - (int(popcount(y)) - shared))
+        return bool(links(most, n, m, self.least))
 
 
 def join_sets(cls: np.ndarray, sets: list[np.ndarray], least: int) -> tuple[np.ndarray, np.ndarray]:
@@ -260,9 +275,14 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
                         continue
                     size = len(h) - (least * len(h) + 99) // 100 + 1
                     heat = hot[(h >> np.uint64(64 - SLOT_BITS)).astype(np.int64)]
-                    tokens.append(h[np.lexsort((h, heat))[:size]] if heat.any() else h[:size])
-                    owners.append(np.full(size, class_of(h), np.int64))
-                    first.append(np.arange(size) < FIRST)
+                    chosen, lead = np.zeros(len(h), bool), np.zeros(len(h), bool)
+                    chosen[np.lexsort((h, heat))[:size] if heat.any() else slice(size)] = True
+                    # copies share what is frequent because of them: only the most frequent tokens are no first ones
+                    lead[np.argsort(heat >= VERY_HOT, kind="stable")[:FIRST]] = True
+                    both = chosen | lead
+                    tokens.append(h[both])
+                    owners.append(np.full(int(both.sum()), class_of(h), np.int64))
+                    first.append(lead[both])
             t, o, f = np.concatenate(tokens), np.concatenate(owners), np.concatenate(first)
             part = (mix(t) % np.uint64(n_parts)).astype(np.int64)
             order = np.argsort(part, kind="stable")
