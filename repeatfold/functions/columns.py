@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 def left_greedy(starts: Column, length: Column, after: Column | None = None) -> Column:
     """Disjoint starts beyond ``after``, from left to right; ``starts`` in any order."""
-    free = F.lit(0).cast("long") if after is None else after.cast("long") + 1
+    free = F.array_min(starts).cast("long") if after is None else after.cast("long") + 1
     init = F.struct(free.alias("free"), F.array().cast("array<bigint>").alias("out"))
     step = lambda a, s: F.when(s >= a["free"], F.struct((s + length).cast("long").alias("free"), F.concat(a["out"], F.array(s.cast("long"))).alias("out"))).otherwise(a)
     return F.aggregate(F.array_sort(starts), init, step, lambda a: a["out"])

@@ -7,15 +7,21 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 from repeatfold.kernels import assemble, baselines, reach, suffix
-from repeatfold.model import FACTORS
 from repeatfold.operators.baselines import _gzip
 from repeatfold.operators.fold import step_row
 from repeatfold.operators.units import to_codes
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-TRIPLE = f"residual array<int>, factors {FACTORS}, kinds array<int>"
+_INTS = ArrayType(IntegerType())
+# types as objects: workers import this module without a session that could parse them
+TRIPLE = StructType([StructField("residual", _INTS), StructField("factors", ArrayType(StructType([StructField("a", LongType()), StructField("len", IntegerType())]))), StructField("kinds", _INTS)])
+
+
+def _row(**fields) -> StructType:
+    return StructType([StructField(k, t()) for k, t in fields.items()])
 
 
 def _fold(text: str) -> assemble.Folded:
@@ -29,7 +35,7 @@ def fold_struct(text: pd.Series) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["residual", "factors", "kinds"])
 
 
-@pandas_udf("string")
+@pandas_udf(StringType())
 def unfold_text(triple: pd.DataFrame) -> pd.Series:
     out = []
     for r, f, k in zip(triple["residual"], triple["factors"], triple["kinds"], strict=True):
@@ -37,17 +43,17 @@ def unfold_text(triple: pd.DataFrame) -> pd.Series:
     return pd.Series(out, dtype=object)
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def longest_repeat_len(text: pd.Series) -> pd.Series:
     return text.map(lambda t: None if t is None else max(suffix.order_of(to_codes(t))[1], default=0)).astype("Int32")
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def lz77_count(text: pd.Series) -> pd.Series:
     return text.map(lambda t: None if t is None else len(baselines.lz77((c := to_codes(t)).tolist(), *suffix.order_of(c)))).astype("Int32")
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def fold_group(texts: pd.Series) -> int:
     """Length of the residual of a group's texts, each ended by its own terminator; the group is one unit in memory."""
     codes: list[int] = []
@@ -56,7 +62,7 @@ def fold_group(texts: pd.Series) -> int:
     return len(reach.run(codes, *suffix.order_of(codes)).residual)
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def entropy_bits(symbols: pd.Series) -> float:
     import numpy as np
 
@@ -64,7 +70,7 @@ def entropy_bits(symbols: pd.Series) -> float:
     return float(-(p * np.log2(p)).sum()) if len(p) else 0.0
 
 
-@udtf(returnType="k int, len int, first bigint, n1 int, n2 int, n3 int, n4 int")
+@udtf(returnType=_row(k=IntegerType, len=IntegerType, first=LongType, n1=IntegerType, n2=IntegerType, n3=IntegerType, n4=IntegerType))
 class fold_steps:  # noqa: N801
     def eval(self, text: str) -> Iterator[tuple]:
         for s in _fold(text).steps if text is not None else ():
@@ -72,7 +78,7 @@ class fold_steps:  # noqa: N801
             yield r[0], r[1], r[2], *r[5:9]
 
 
-@udtf(returnType="idx int, pos bigint, src bigint, len int")
+@udtf(returnType=_row(idx=IntegerType, pos=LongType, src=LongType, len=IntegerType))
 class lz77_factors:  # noqa: N801
     def eval(self, text: str) -> Iterator[tuple]:
         c = to_codes(text)
@@ -82,7 +88,7 @@ class lz77_factors:  # noqa: N801
             pos += n
 
 
-@udtf(returnType="rank bigint, pos bigint, lcp int")
+@udtf(returnType=_row(rank=LongType, pos=LongType, lcp=IntegerType))
 class suffix_rows:  # noqa: N801
     def eval(self, text: str) -> Iterator[tuple]:
         if text is not None:
@@ -90,7 +96,7 @@ class suffix_rows:  # noqa: N801
                 yield r + 1, p + 1, h
 
 
-@udtf(returnType="len int, first bigint, n_occ bigint")
+@udtf(returnType=_row(len=IntegerType, first=LongType, n_occ=LongType))
 class maximal_repeat_rows:  # noqa: N801
     def eval(self, text: str) -> Iterator[tuple]:
         if text is not None:

@@ -51,7 +51,8 @@ def lz77_apart(codes: list[int]) -> list[tuple[int, int, int]]:
     while p < n:
         good, bad = 0, min(p, n - p) + 1
         step = 1
-        while good + step < bad:  # gallop, then halve
+        while good + 1 < bad:  # gallop, then close in
+            step = min(step, bad - good - 1)
             if text.find(text[p : p + good + step], 0, p) >= 0:
                 good += step
                 step *= 2

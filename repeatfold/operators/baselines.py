@@ -9,7 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import StringType, StructField, StructType
+from pyspark.sql.types import LongType, StringType, StructField, StructType
 
 from repeatfold.kernels import baselines
 from repeatfold.model import GRAMMAR, LZ77
@@ -85,7 +85,7 @@ def expand_grammar(g: DataFrame) -> DataFrame:
     return g.select(*ids, "rules", "start").mapInArrow(run, StructType([g.schema[c] for c in ids] + [StructField("text", StringType())]))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def _gzip(text: pd.Series) -> pd.Series:
     def one(t) -> int | None:
         if t is None:

@@ -9,6 +9,7 @@ from collections.abc import Sequence
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def entropy_of(counts: Column) -> Column:
@@ -17,7 +18,7 @@ def entropy_of(counts: Column) -> Column:
     return F.aggregate(counts, F.lit(0.0), lambda a, x: a - (x / total) * F.log2(x / total))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def huffman_mean(counts: pd.Series) -> pd.Series:
     """Mean code length of a Huffman code for each histogram; one symbol takes one bit."""
 
@@ -38,7 +39,7 @@ def huffman_mean(counts: pd.Series) -> pd.Series:
 
 def histogram_bits(symbols: DataFrame, keys: Sequence[str], symbol: str, code: str = "entropy") -> DataFrame:
     """``keys, n, distinct, bits``: symbols of each key (rows), and mean bits under the code: entropy, huffman or fixed."""
-    counts = symbols.groupBy(*keys, symbol).agg(F.count("*").alias("c")).groupBy(*keys).agg(F.sum("c").alias("n"), F.count("*").alias("distinct"), F.array_sort(F.collect_list(F.col("c").cast("double"))).alias("cs"))
+    counts = symbols.groupBy(*keys, symbol).agg(F.count("*").alias("_count")).groupBy(*keys).agg(F.sum("_count").alias("n"), F.count("*").alias("distinct"), F.array_sort(F.collect_list(F.col("_count").cast("double"))).alias("cs"))
     bits = {"entropy": entropy_of(F.col("cs")), "huffman": huffman_mean(F.col("cs")), "fixed": F.ceil(F.log2(F.greatest(F.col("distinct"), F.lit(2)))).cast("double")}[code]
     return counts.select(*keys, "n", "distinct", bits.alias("bits"))
 
@@ -50,8 +51,8 @@ def bit_costs(folded: DataFrame, keys: Sequence[str], code: str = "entropy") ->
     one factor, all in units of a residual symbol.
     """
     parts = {
-        "residual": folded.select(*keys, F.explode("residual").cast("string").alias("x")),
-        "kinds": folded.select(*keys, F.explode(F.transform("kinds", lambda k: F.least(k, F.lit(3)))).cast("string").alias("x")),
+        "residual": folded.select(*keys, F.explode(F.transform("residual", lambda c: c.cast("string"))).alias("x")),
+        "kinds": folded.select(*keys, F.explode(F.transform("kinds", lambda k: F.least(k, F.lit(3)).cast("string"))).alias("x")),
         "factors": folded.select(*keys, F.explode("factors").alias("f")).select(*keys, F.concat_ws(",", "f.a", "f.len").alias("x")),
     }
     out = folded.select(*keys).distinct()

@@ -74,7 +74,8 @@ def typed_rows(classes: DataFrame, ids: Sequence[str]) -> DataFrame:
 
 
 def greedy_rows(classes: DataFrame, ids: Sequence[str]) -> DataFrame:
-    return classes.select(*ids, F.col("len").cast("int").alias("len"), F.explode(left_greedy(F.col("starts"), F.col("len"))).alias("pos"))
+    rows = classes.select(*ids, F.col("len").alias("_len"), left_greedy(F.col("starts"), F.col("len")).alias("_chosen"))
+    return rows.select(*ids, F.col("_len").cast("int").alias("len"), F.explode("_chosen").alias("pos"))
 
 
 def bound_rows(classes: DataFrame, ids: Sequence[str]) -> DataFrame:

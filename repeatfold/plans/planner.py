@@ -21,6 +21,12 @@ def balance(df: DataFrame, partitions: int, text_col: str = "text") -> DataFrame
     return df.repartition(partitions, F.pmod(F.xxhash64(text_col) + size, F.lit(partitions)))
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """A scan of few, small files dealt out to all cores: folding costs far more than moving a text. Larger scans stay where they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(3 * cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def rejoin(df: DataFrame, done: DataFrame, text_col: str = "text") -> DataFrame:
     """``df`` without its text beside the results of its distinct texts."""
     key = F.concat_ws("-", F.hex(F.xxhash64(text_col)), F.md5(F.col(text_col).cast("binary")))

@@ -41,8 +41,7 @@ def grouped_units(df: DataFrame, key_cols: Sequence[str], order_cols: Sequence[s
 
 
 def _code_point(c):
-    b = F.encode(c, "UTF-32BE")
-    return F.conv(F.hex(b), 16, 10).cast("int")
+    return F.ascii(c).cast("int")  # the first character's code point
 
 
 def symbol_units(df: DataFrame, key_cols: Sequence[str], order_cols: Sequence[str], symbol_col: str) -> DataFrame:

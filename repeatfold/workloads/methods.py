@@ -12,8 +12,15 @@ from repeatfold.functions.columns import unfold_text
 from repeatfold.operators import baselines, fold, measures, repeats
 from repeatfold.operators.units import map_units
 from repeatfold.plans import frames, planner
+from repeatfold.plans.lineage import cut
 from repeatfold.sources import tables
-from repeatfold.sources.tables import load_table
+
+load_table = tables.load_table
+
+
+def units_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return planner.spread(load_table(spark, sf_dir, name))
+
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -83,7 +90,7 @@ def hand_fixtures(spark: SparkSession, sf_dir: str) -> DataFrame:
 select doc_id, item_id, pos::bigint as pos from (select d.doc_id, b.item_id, d.text t, b.text x, unnest(range(1, length(d.text) - length(b.text) + 2)) as pos
 from documents d join benchmark b on contains(d.text, b.text)) where substr(t, pos, length(x)) = x""")
 def occurrences_of_item(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs, items = load_table(spark, sf_dir, "documents").select("doc_id", "text"), load_table(spark, sf_dir, "benchmark")
+    docs, items = units_of(spark, sf_dir, "documents").select("doc_id", "text"), load_table(spark, sf_dir, "benchmark")
     return planner_contained(docs, items)
 
 
@@ -111,7 +118,7 @@ def planner_contained(docs: DataFrame, items: DataFrame, anchor: int = 24) -> Da
 select doc_id, count(*)::bigint as n_classes, sum(n)::bigint as n_occ from (select doc_id, x, count(*) as n from
 (select doc_id, substr(text, pos, 16) as x from (select doc_id, text, unnest(range(1, length(text) - 14)) as pos from documents)) group by all having count(*) > 1) group by doc_id""")
 def repeats_len16(spark: SparkSession, sf_dir: str) -> DataFrame:
-    r = repeats.repeats_at(load_table(spark, sf_dir, "documents"), 16, ["doc_id"])
+    r = repeats.repeats_at(units_of(spark, sf_dir, "documents"), 16, ["doc_id"])
     return r.groupBy("doc_id").agg(F.count("*").alias("n_classes"), F.sum("n_occ").alias("n_occ"))
 
 
@@ -258,17 +265,17 @@ def _sized(units: DataFrame, ids: list[str], col: str = "text") -> DataFrame:
 
 @query("fold_documents")
 def fold_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _sized(load_table(spark, sf_dir, "documents"), ["doc_id"])
+    return _sized(units_of(spark, sf_dir, "documents"), ["doc_id"])
 
 
 @query("fold_distinct_documents")
 def fold_distinct_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fold.sizes(planner.fold_distinct(load_table(spark, sf_dir, "documents"), ["doc_id"]))
+    return fold.sizes(planner.fold_distinct(units_of(spark, sf_dir, "documents"), ["doc_id"]))
 
 
 @query("fold_pages")
 def fold_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _sized(load_table(spark, sf_dir, "pages"), ["page_id"], "html")
+    return _sized(units_of(spark, sf_dir, "pages"), ["page_id"], "html")
 
 
 @query("fold_conversations")
@@ -298,12 +305,12 @@ def fold_sign_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("fold_simple_documents")
 def fold_simple_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fold.sizes(fold.fold_simple(load_table(spark, sf_dir, "documents"), ["doc_id"]))
+    return fold.sizes(fold.fold_simple(units_of(spark, sf_dir, "documents"), ["doc_id"]))
 
 
 @query("fold_gated_documents")
 def fold_gated_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = load_table(spark, sf_dir, "documents")
+    docs = units_of(spark, sf_dir, "documents")
     refused = measures.refusals(fold.fold_gated(docs, ["doc_id"], log=True), ["doc_id"])
     return fold.sizes(fold.fold_gated(docs, ["doc_id"])).join(refused, "doc_id", "left").fillna(0, ["refused", "lost"])
 
@@ -320,17 +327,17 @@ def fold_ties_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("grammar_longest_sizes")
 def grammar_longest_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.grammar_size(baselines.grammar_longest(load_table(spark, sf_dir, "documents"), ["doc_id"]))
+    return baselines.grammar_size(baselines.grammar_longest(units_of(spark, sf_dir, "documents"), ["doc_id"]))
 
 
 @query("pairs_sizes")
 def pairs_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.grammar_size(baselines.grammar_pairs(load_table(spark, sf_dir, "documents"), ["doc_id"]))
+    return baselines.grammar_size(baselines.grammar_pairs(units_of(spark, sf_dir, "documents"), ["doc_id"]))
 
 
 @query("lz77_sizes")
 def lz77_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.lz77_sizes(load_table(spark, sf_dir, "documents"), ["doc_id"])
+    return baselines.lz77_sizes(units_of(spark, sf_dir, "documents"), ["doc_id"])
 
 
 @query("gzip_sizes")
@@ -359,7 +366,7 @@ def bench_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _roundtrip(table: str, ids: list[str], col: str = "text", pick=None):
     def f(spark: SparkSession, sf_dir: str) -> DataFrame:
-        units = load_table(spark, sf_dir, table)
+        units = units_of(spark, sf_dir, table)
         return (pick or (lambda u: fold.unfold(fold.fold(u, ids, col))))(units).withColumnRenamed("text", col)
 
     return f
@@ -399,13 +406,13 @@ def engines_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("irreducible_check", "select 0::bigint as violations")
 def irreducible_check(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fold.irreducible(fold.fold(load_table(spark, sf_dir, "documents"), ["doc_id"])).agg(F.sum("violations").alias("violations"))
+    return fold.irreducible(fold.fold(units_of(spark, sf_dir, "documents"), ["doc_id"])).agg(F.sum("violations").alias("violations"))
 
 
 @query("factor_balance", "select 0::bigint as violations")
 def factor_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Literals and replaced lengths make up n; factors are one for each copy of kind 1 or 2 and one for each group of kind 3."""
-    docs = load_table(spark, sf_dir, "documents")
+    docs = units_of(spark, sf_dir, "documents")
     log = fold.fold(docs, ["doc_id"], log=True).groupBy("doc_id").agg(F.sum(F.col("q") * F.col("len")).alias("taken"), F.sum("q").alias("marks"), F.sum(F.col("n1") + F.col("n2") + (F.col("n3") > 0).cast("int")).alias("expected"))
     both = fold.sizes(fold.fold(docs, ["doc_id"])).join(log, "doc_id", "left").fillna(0, ["taken", "marks", "expected"])
     wrong = (F.col("n_literals") + F.col("taken") != F.col("n")) | (F.col("marks") != F.col("n_marks")) | (F.col("expected") != F.col("n_factors"))
@@ -414,7 +421,7 @@ def factor_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _audited(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = load_table(spark, sf_dir, "benchmark").select(F.concat(F.lit("b"), "item_id").alias("unit"), "text")
-    docs = load_table(spark, sf_dir, "documents").where(F.length("text") <= 3000).select(F.concat(F.lit("d"), "doc_id").alias("unit"), "text")
+    docs = units_of(spark, sf_dir, "documents").where(F.length("text") <= 3000).select(F.concat(F.lit("d"), "doc_id").alias("unit"), "text")
     units = items.union(docs)
     return measures.step_stats(fold.fold(units, ["unit"], engine="tree", log=True), ["unit"]).join(units.select("unit", F.length("text").alias("n")), "unit")
 
@@ -467,14 +474,14 @@ def family_fold(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("gate_estimate")
 def gate_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = measures.estimate_gate(fold.fold(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"]), ["lang"])
+    e = measures.estimate_gate(cut(fold.fold(units_of(spark, sf_dir, "documents"), ["doc_id", "lang"])), ["lang"])
     return e.select("lang", F.round("alpha", 6).alias("alpha"), F.round("beta", 6).alias("beta"))
 
 
 @query("bit_costs_by_code")
 def bit_costs_by_code(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean bits of residual, kinds and factors by language under the three codes."""
-    folded, out = fold.fold(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"]), None
+    folded, out = cut(fold.fold(units_of(spark, sf_dir, "documents"), ["doc_id", "lang"])), None
     for code in ("entropy", "huffman", "fixed"):
         one = measures.bit_costs(folded, ["lang"], code).select("lang", F.lit(code).alias("code"), *(F.round(c, 6).alias(c) for c in ("bit_residual", "bit_kinds", "bit_factors", "alpha", "beta", "total_bits")))
         out = one if out is None else out.union(one)
@@ -483,12 +490,12 @@ def bit_costs_by_code(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("type_counts_by_lang")
 def type_counts_by_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return measures.type_counts(fold.fold(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"], log=True), ["lang"])
+    return measures.type_counts(fold.fold(units_of(spark, sf_dir, "documents"), ["doc_id", "lang"], log=True), ["lang"])
 
 
 @query("simple_vs_greedy", "select 0::bigint as violations")
 def simple_vs_greedy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    c = measures.compare_selection(load_table(spark, sf_dir, "documents"), ["doc_id"])
+    c = measures.compare_selection(units_of(spark, sf_dir, "documents"), ["doc_id"])
     least = F.greatest(F.ceil(F.col("greedy") / 2), F.lit(2))
     return c.agg(F.coalesce(F.sum((F.col("simple") < least).cast("long")), F.lit(0)).alias("violations"))
 
@@ -496,7 +503,7 @@ def simple_vs_greedy(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("simple_ratio")
 def simple_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Copies kept beside left-greedy ones, for each order of choice."""
-    docs, out = load_table(spark, sf_dir, "documents"), None
+    docs, out = units_of(spark, sf_dir, "documents"), None
     for pick in ("ends_first", "scan", "hash"):
         c = measures.compare_selection(docs, ["doc_id"], pick=pick)
         one = c.agg(F.lit(pick).alias("pick"), F.count("*").alias("steps"), F.round(F.min(F.col("simple") / F.col("greedy")), 6).alias("min_ratio"), F.round(F.sum("simple") / F.sum("greedy"), 6).alias("ratio"))
@@ -552,7 +559,7 @@ def grammar_first_rule(spark: SparkSession, sf_dir: str) -> DataFrame:
 def ratios(docs: DataFrame, keys: list[str]) -> DataFrame:
     """Sizes of every method over the units of each key: symbols of the residual and factors, rules, factors, bytes; and the fold's bits for input bits."""
     ids = ["doc_id", *keys]
-    folded = fold.fold(docs, ids)
+    folded = cut(fold.fold(docs, ids))
     n_bits = measures.histogram_bits(docs.select(*keys, F.explode(F.split("text", "")).alias("c")).where("c <> ''"), keys, "c").select(*keys, (F.col("n") * F.col("bits")).alias("input_bits"))
     out = fold.sizes(folded).groupBy(*keys).agg(F.count("*").alias("n_units"), F.sum("n").alias("n"), F.sum("residual_len").alias("fold"), F.sum("n_factors").alias("fold_factors"))
     parts = {
@@ -572,12 +579,12 @@ def ratios(docs: DataFrame, keys: list[str]) -> DataFrame:
 
 @query("ratio_by_lang")
 def ratio_by_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ratios(load_table(spark, sf_dir, "documents"), ["lang"])
+    return ratios(units_of(spark, sf_dir, "documents"), ["lang"])
 
 
 @query("ratio_by_source")
 def ratio_by_source(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ratios(load_table(spark, sf_dir, "documents"), ["source"])
+    return ratios(units_of(spark, sf_dir, "documents"), ["source"])
 
 
 @query("ratio_by_quality")
@@ -587,14 +594,14 @@ def ratio_by_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("unit_totals", "select lang, count(*)::bigint as n_units, sum(length(text))::bigint as n from documents group by lang")
 def unit_totals(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fold.sizes(fold.fold(load_table(spark, sf_dir, "documents"), ["doc_id", "lang"])).groupBy("lang").agg(F.count("*").alias("n_units"), F.sum("n").alias("n"))
+    return fold.sizes(fold.fold(units_of(spark, sf_dir, "documents"), ["doc_id", "lang"])).groupBy("lang").agg(F.count("*").alias("n_units"), F.sum("n").alias("n"))
 
 
 @query("char_entropy_by_lang", """
 with c as (select lang, x, count(*)::double as n from (select lang, unnest(string_split(text, '')) as x from documents) where x <> '' group by all), t as (select lang, sum(n) as n from c group by lang)
 select lang, round(-sum(c.n / t.n * log2(c.n / t.n)), 6) as entropy from c join t using (lang) group by lang""")
 def char_entropy_by_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
-    chars = load_table(spark, sf_dir, "documents").select("lang", F.explode(F.split("text", "")).alias("c")).where("c <> ''")
+    chars = units_of(spark, sf_dir, "documents").select("lang", F.explode(F.split("text", "")).alias("c")).where("c <> ''")
     return measures.histogram_bits(chars, ["lang"], "c").select("lang", F.round("bits", 6).alias("entropy"))
 
 
@@ -609,9 +616,9 @@ select item_id, count(distinct doc_id)::bigint as docs from (select distinct ite
 join (select distinct doc_id, substr(text, pos, 48) as x from (select doc_id, text, unnest(range(1, length(text) - 46)) as pos from documents)) d using (x) group by item_id""")
 def shared_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that share 48 symbols with an item of the reference set."""
-    cut = lambda df, key: df.where(F.length("text") >= 48).select(key, "text", F.explode(F.sequence(F.lit(1), F.length("text") - 47)).alias("p")).select(key, F.substring("text", F.col("p"), F.lit(48)).alias("x"))
-    items = cut(load_table(spark, sf_dir, "benchmark"), "item_id").distinct()
-    return cut(load_table(spark, sf_dir, "documents"), "doc_id").join(items, "x").groupBy("item_id").agg(F.countDistinct("doc_id").alias("docs"))
+    pieces = lambda df, key: df.where(F.length("text") >= 48).select(key, "text", F.explode(F.sequence(F.lit(1), F.length("text") - 47)).alias("p")).select(key, F.substring("text", F.col("p"), F.lit(48)).alias("x"))
+    items = pieces(load_table(spark, sf_dir, "benchmark"), "item_id").distinct()
+    return pieces(units_of(spark, sf_dir, "documents"), "doc_id").join(items, "x").groupBy("item_id").agg(F.countDistinct("doc_id").alias("docs"))
 
 
 @query("exact_copies", "select md5(text) as text_md5, count(*)::bigint as n from documents group by 1 having count(*) > 1")
