@@ -26,8 +26,8 @@ GRADES = 3
 #: Labelled documents the model is fitted on at most, chosen by a hash of the id.
 MAX_TRAIN = 12_000
 #: Words must stand in this many training documents to get a weight.
-MIN_DOCS = 10
-STRONG = 8.0
+MIN_DOCS = 5
+STRONG = 5.0
 #: Tail probability from which a document is kept.
 KEEP_FROM = 0.5
 
