@@ -671,6 +671,16 @@ def suffix_tree_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.groupBy("item_id").agg(F.count("leaf_id").alias("leaves"))
 
 
+@query("corpus_fold_worked", _values([(4, 1, 4, 1), (4, 1, 12, 2), (3, 1, 8, 3), (3, 1, 17, 3)], "len, first, pos, kind"))
+def corpus_fold_worked(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The worked example as relations of positions, in rounds over lengths."""
+    from repeatfold.plans.corpus import fold_steps
+
+    unit = spark.createDataFrame([(1, FIXTURES["worked"][0][:-1])], "unit long, text string")
+    places = unit.select("unit", F.posexplode(F.split("text", ""))).select("unit", (F.col("pos") + 1).cast("long").alias("pos"), F.ascii("col").alias("code"))
+    return fold_steps(places).select(F.col("len").cast("long").alias("len"), "first", "pos", F.col("kind").cast("long").alias("kind"))
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 
