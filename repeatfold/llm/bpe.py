@@ -116,7 +116,7 @@ def merge_all(symbols: np.ndarray, lengths: np.ndarray, table: PairTable) -> tup
 class SpanCache:
     """hash of a span -> ragged values, in sorted arrays; holds at most ``limit`` spans, later ones are worked out anew."""
 
-    def __init__(self, limit: int = 1_500_000) -> None:
+    def __init__(self, limit: int = 400_000) -> None:
         self.limit = limit
         self.keys = np.zeros(0, np.uint64)
         self.at = np.zeros(0, np.int64)

@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from repeatfold.llm.common import components, cut, spread_out
 from repeatfold.llm.near_dup import link_labels
-from repeatfold.llm.words import Slice, combine, mix, window_hashes, word_slices
+from repeatfold.llm.words import Slice, combine, mix, relax, window_hashes, word_slices
 
 WIDTH = 5
 SLOT_BITS = 20
@@ -333,6 +333,7 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
                 a, b = join_sets(cls[rows], [np.frombuffer(x.as_buffer(), "<u8") for x in blobs.take(pa.array(rows))], least)
                 if len(a):
                     yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+        relax()
 
     edges = cut(spread_out(with_sets, "grp", "block").mapInArrow(join_groups, "a long, b long"))
     known = components(edges)

@@ -6,6 +6,7 @@ Everything here works on whole texts, on raw UTF-8, and in bounded memory: a bat
 
 from __future__ import annotations
 
+import ctypes
 import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -14,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE = 2_000_000
+SLICE = 1_000_000
 #: Words longer than this are hashed one by one, so that one long run does not make thousands of passes.
 LONG_WORD = 512
 
@@ -27,6 +28,19 @@ _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _S = np.uint64(32)
 
 
+try:
+    _TRIM = ctypes.CDLL(None).malloc_trim
+except (AttributeError, OSError):  # another C library
+    _TRIM = None
+
+
+def relax() -> None:
+    """Gives freed memory back: idle workers stay alive between tasks, and what they hold is missing elsewhere."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijective scrambling of 64-bit values."""
     h = (h ^ (h >> _S)) * _M2
@@ -69,6 +83,7 @@ def text_slices(column: pa.Array | pa.ChunkedArray) -> Iterator[tuple[int, np.nd
         j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + SLICE, "right")) - 1)
         yield i, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
         i = j
+    relax()
 
 
 def word_slices(column: pa.Array | pa.ChunkedArray, lower: bool = False) -> Iterator[Slice]:
