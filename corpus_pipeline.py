@@ -33,8 +33,8 @@ def strip_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents are sampled by probabilities calibrated to the source, language and topic targets."""
-    return mixing.calibrate(docs).where("kept").select(*COLUMNS)
+    """Documents are sampled, scarce ones with repeats, at rates calibrated to the source, language and topic targets."""
+    return mixing.sample(mixing.calibrate(docs)).select(*COLUMNS)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,8 +1,10 @@
 """Mixing to target weights by iterative proportional fitting.
 
 Token counts are summed by (source, language, topic); categories without a target meet in ``other``, so the table of cells is bounded by
-the target lists, whatever the corpus. The cells are raked to the three marginals in turn, and a document is kept when a hash of its id,
-as a number in [0, 1), is below ``keep`` times its cell's factor (1 at most).
+the target lists, whatever the corpus. The cells are raked to the three marginals in turn; ``keep`` times its cell's factor is a document's
+rate. A hash of its id, as a number in [0, 1), settles the fraction: the sample holds the whole part of the rate as copies of the document, and
+one more when the number is below the fraction. Expected copies are the rate, so scarce cells reach their targets by repeats and nothing is cut
+off. ``probability`` (1 at most) and ``kept`` say only whether a document is in the sample at all; they are not its weight.
 
 Null text: no tokens. Null category: ``other``. ``other`` keeps its observed share. A target of a category that does not occur is shared out
 among the others. Repeated rows share their fate; a null id counts as an empty one.
@@ -44,20 +46,28 @@ def draw(id_: Column) -> Column:
     return F.conv(F.substring(F.md5(F.coalesce(id_.cast("string"), F.lit(""))), 1, 8), 16, 10).cast("double") / F.lit(4294967296.0)
 
 
+def goals_of(cells: list[tuple[str, str, str, int]], targets: list[Mapping[str, float]]) -> list[dict[str, float]]:
+    """Wanted share of each category that occurs, for each dimension."""
+    total = float(sum(c[3] for c in cells))
+    goals = []
+    for d, want in enumerate(targets):
+        seen: dict[str, float] = {}
+        for c in cells:
+            if c[3]:
+                seen[c[d]] = seen.get(c[d], 0.0) + c[3]
+        rest = seen.get("other", 0.0) / total if seen else 0.0
+        live = math.fsum(want[k] for k in seen if k in want)
+        goals.append({k: rest if k == "other" else (1 - rest) * want[k] / live for k in seen})
+    return goals
+
+
 def rake(cells: list[tuple[str, str, str, int]], targets: list[Mapping[str, float]], rounds: int = ROUNDS) -> dict[tuple[str, str, str], float]:
     """Factor of each cell after ``rounds`` passes over the marginals; factors average 1 over the tokens."""
     total = float(sum(c[3] for c in cells))
     weight = {tuple(c[:3]): float(c[3]) for c in cells if c[3]}
     if not total:
         return {}
-    goals = []
-    for d, want in enumerate(targets):
-        seen: dict[str, float] = {}
-        for c, w in weight.items():
-            seen[c[d]] = seen.get(c[d], 0.0) + w
-        rest = seen.get("other", 0.0) / total
-        live = math.fsum(want[k] for k in seen if k in want)
-        goals.append({k: (rest if k == "other" else (1 - rest) * want[k] / live) * total for k in seen})
+    goals = [{k: x * total for k, x in g.items()} for g in goals_of(cells, targets)]
     now = dict(weight)
     for _ in range(rounds):
         for d, goal in enumerate(goals):
@@ -71,19 +81,42 @@ def rake(cells: list[tuple[str, str, str, int]], targets: list[Mapping[str, floa
 def calibrate(
     docs: DataFrame, source: Mapping[str, float] = SOURCE, lang: Mapping[str, float] = LANG, topic: Mapping[str, float] = TOPIC, keep: float = 0.5, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang"
 ) -> DataFrame:
-    """``docs`` with ``n_tokens, probability, kept`` for every row (columns of these names are replaced)."""
+    """``docs`` with ``n_tokens, rate, copies, probability, kept`` for every row (columns of these names are replaced)."""
     if (len(source) + 1) * (len(lang) + 1) * (len(topic) + 1) > MAX_CELLS:
         raise ValueError(f"target lists make more than {MAX_CELLS} cells")
     text = F.col(text_col)
     key = [_bucket(F.col(source_col), source).alias("_s"), _bucket(F.col(lang_col), lang).alias("_l"), _bucket(topic_of(text), topic).alias("_t")]
     cells = docs.select(*key, n_words(text).alias("n")).groupBy("_s", "_l", "_t").agg(F.sum("n").alias("n")).collect()
     factor = rake(sorted((r["_s"], r["_l"], r["_t"], r["n"]) for r in cells), [source, lang, topic], rounds)
-    p = F.lit(0.0)
+    rate = F.lit(0.0)
     if factor:
-        lookup = F.create_map(*[x for c, f in factor.items() for x in (F.lit("\t".join(c)), F.lit(min(1.0, keep * f)))])
-        p = F.coalesce(F.try_element_at(lookup, F.concat_ws("\t", *key)), F.lit(0.0))
-    out = docs.withColumns({"n_tokens": n_words(text), "probability": p})
-    return out.withColumn("kept", draw(F.col(id_col)) < F.col("probability"))
+        lookup = F.create_map(*[x for c, f in factor.items() for x in (F.lit("\t".join(c)), F.lit(keep * f))])
+        rate = F.coalesce(F.try_element_at(lookup, F.concat_ws("\t", *key)), F.lit(0.0))
+    out = docs.withColumns({"n_tokens": n_words(text), "rate": rate})
+    whole, chance = F.floor("rate"), draw(F.col(id_col))
+    out = out.withColumn("copies", whole + (chance < F.col("rate") - whole).cast("long"))
+    return out.withColumn("probability", F.least(F.lit(1.0), F.col("rate"))).withColumn("kept", chance < F.col("probability"))
+
+
+def sample(calibrated: DataFrame) -> DataFrame:
+    """Rows of ``calibrate``, each as often as it has copies."""
+    return calibrated.where("copies > 0").withColumn("_k", F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).drop("_k")
+
+
+def marginals(calibrated: DataFrame, source: Mapping[str, float] = SOURCE, lang: Mapping[str, float] = LANG, topic: Mapping[str, float] = TOPIC, text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
+    """``dimension, category, wanted, expected, reached``: token shares of rows of ``calibrate``. A target whose category does not occur has null shares."""
+    names, lists = ("source", "lang", "topic"), (source, lang, topic)
+    key = [_bucket(c, m).alias(n) for c, m, n in zip((F.col(source_col), F.col(lang_col), topic_of(F.col(text_col))), lists, names, strict=True)]
+    n = F.col("n_tokens")
+    cells = calibrated.select(*key, n, (n * F.col("rate")).alias("e"), (n * F.col("copies")).alias("r")).groupBy(*names).agg(F.sum("n_tokens").alias("n"), F.sum("e").alias("e"), F.sum("r").alias("r")).collect()
+    goals = goals_of([(*(c[x] for x in names), c["n"]) for c in cells], list(lists))
+    all_e, all_r, rows = math.fsum(c["e"] for c in cells), sum(c["r"] for c in cells), []
+    for name, goal, want in zip(names, goals, lists, strict=True):
+        for k in sorted({*goal, *want}):
+            mine = [c for c in cells if c[name] == k]
+            share = lambda x, total, mine=mine: float(sum(c[x] for c in mine)) / total if mine and total else None
+            rows.append((name, k, goal.get(k), share("e", all_e), share("r", all_r)))
+    return calibrated.sparkSession.createDataFrame(rows, "dimension string, category string, wanted double, expected double, reached double")
 
 
 def calibrate_sql(keep: float = 0.5, rounds: int = ROUNDS, table: str = "documents") -> str:

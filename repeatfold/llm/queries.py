@@ -56,6 +56,16 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "n_tokens", F.round("probability", 6).alias("probability"), "kept")
 
 
+def op8_mixing_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Copies of each document in the whole sample; ``op8_mixing`` tells only which documents are in it."""
+    return mixing.calibrate(table(spark, sf_dir, "documents")).select("doc_id", "n_tokens", F.round("rate", 6).alias("rate"), "copies")
+
+
+def op8_mixing_marginals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Wanted and reached token shares of the sample."""
+    return mixing.marginals(mixing.calibrate(table(spark, sf_dir, "documents")))
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_count.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
 
@@ -74,6 +84,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_topk_search": op6_topk_search,
         "op7_packing": op7_packing,
         "op8_mixing": op8_mixing,
+        "op8_mixing_sample": op8_mixing_sample,
+        "op8_mixing_marginals": op8_mixing_marginals,
         "op9_token_counts": op9_token_counts,
         "op10_near_duplicates": op10_near_duplicates,
     }

@@ -240,6 +240,20 @@ def test_mixing_of_odd_rows(odd):
     assert mixing.calibrate(odd.where("doc_id < 0")).count() == 0
 
 
+def test_mixing_repeats_scarce_cells(spark):
+    rows = [(i, "w " * 10 + ("@" if i % 50 == 0 else "x"), "en", "src0") for i in range(20_000)]
+    topic = {"prose": 0.7, "contact": 0.3}
+    mixed = mixing.calibrate(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string"), topic=topic)
+    out = mixed.collect()
+    assert max(r["copies"] for r in out) > 1 and all((r["copies"] > 0) == r["kept"] for r in out)
+    got = {(r["dimension"], r["category"]): r for r in mixing.marginals(mixed, topic=topic).collect()}
+    for k, want in (("contact", 0.3), ("prose", 0.7)):
+        assert abs(got["topic", k]["wanted"] - want) < 1e-9 and abs(got["topic", k]["expected"] - want) < 1e-6 and abs(got["topic", k]["reached"] - want) < 0.01
+    assert got["lang", "de"]["reached"] is None
+    assert abs(sum(r["n_tokens"] * r["copies"] for r in out) / sum(r["n_tokens"] for r in out) - 0.5) < 0.01
+    assert mixing.sample(mixed).count() == sum(r["copies"] for r in out)
+
+
 def test_quality_on_held_out_labels(spark):
     docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     seen = labels.where("doc_id % 3 <> 0")
