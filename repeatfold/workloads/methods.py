@@ -421,7 +421,7 @@ def factor_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _audited(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = load_table(spark, sf_dir, "benchmark").select(F.concat(F.lit("b"), "item_id").alias("unit"), "text")
-    docs = units_of(spark, sf_dir, "documents").where(F.length("text") <= 3000).select(F.concat(F.lit("d"), "doc_id").alias("unit"), "text")
+    docs = units_of(spark, sf_dir, "documents").select(F.concat(F.lit("d"), "doc_id").alias("unit"), "text")
     units = items.union(docs)
     return measures.step_stats(fold.fold(units, ["unit"], engine="tree", log=True), ["unit"]).join(units.select("unit", F.length("text").alias("n")), "unit")
 
