@@ -158,6 +158,13 @@ def longest_repeat_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeats.longest_repeats(turns, ["conv_id", "turn"]).groupBy("conv_id", "turn").agg(F.max("len").cast("long").alias("lr_len"))
 
 
+@query("longest_repeat_all_turns")
+def longest_repeat_all_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every user turn. ``longest_repeat_turns`` compares the turns of at most 200 symbols with SQL, which lists all substrings."""
+    turns = load_table(spark, sf_dir, "conversations").where(F.col("role") == "user")
+    return repeats.longest_repeats(turns, ["conv_id", "turn"]).groupBy("conv_id", "turn").agg(F.max("len").cast("long").alias("lr_len"))
+
+
 _ORDER = "o as (select item_id, text, pos, row_number() over (partition by item_id order by substr(text, pos)) as rank from (select item_id, text, unnest(range(1, length(text) + 1)) as pos from benchmark))"
 _LCP = f"""{_ORDER}, b as (select *, lag(pos) over (partition by item_id order by rank) as before from o),
 l as (select item_id, rank, pos, case when before is null then 0 else (select coalesce(max(k), 0) from (select unnest(range(1, least(length(text) - pos, length(text) - before) + 2)) as k) where substr(text, pos, k) = substr(text, before, k)) end::int as lcp from b)"""
