@@ -1,14 +1,17 @@
 """Licence scan by sentence rules.
 
-Each text is cut into sentences (ends of sentences and lines), a sentence is normalised (A-Z lower-cased, runs of other signs than letters,
-digits and bytes beyond ASCII to one space) and looked up among known licence sentences; what is unknown becomes one gap. The sequence of
-identifiers is then matched, leftmost and longest rule first, against ordered rules, each a licence's run of sentences.
+Each text is cut at ends of sentences and normalised (A-Z lower-cased, runs of other signs than letters, digits and bytes beyond ASCII to one
+space). A line end, with blank lines and comment signs around it, may end a sentence or only wrap it: the longest run of whole lines that is a
+known licence sentence is taken, and what is unknown becomes one gap. The sequence of identifiers is then matched, leftmost and longest rule
+first, against ordered rules, each a licence's run of sentences.
 
 Only DataFrame functions; no shuffle. Null and empty texts have no sentences: empty strings. Repeated rows are scanned alike.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -31,6 +34,23 @@ SENTENCES = {
     "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met": "bsd_grant",
     "this software is in the public domain": "public_domain",
 }
+# The sentences as whole licence texts have them, and usual variants.
+_GRANT, _NOTICE, _AS_IS = (next(k for k, v in SENTENCES.items() if v == name) for name in ("mit_grant", "mit_notice", "as_is"))
+_RIGHTS = "including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions"
+_DAMAGES = "express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and"
+_CC = {"attribution 4 0": "cc_by4_ref", "attribution noncommercial 4 0": "cc_by_nc4_ref", "attribution sharealike 4 0": "cc_by_sa4_ref"}
+VARIANTS = {
+    f"{_GRANT} {_RIGHTS}": "mit_grant",
+    _NOTICE.replace("permission notice", "permission notice including the next paragraph"): "mit_notice",
+    f"{_AS_IS} {_DAMAGES} noninfringement": "as_is",
+    f"{_AS_IS} {_DAMAGES} non infringement": "as_is",
+    f"{_AS_IS} express or implied": "as_is",
+    "licensed under the apache license version 2 0 the license": "apache2_ref",
+    "the asf licenses this file to you under the apache license version 2 0 the license": "apache2_ref",
+    **{f"you may obtain a copy of the license at {http} {www}apache org licenses license 2 0{end}": "apache2_copy" for http in ("http", "https") for www in ("www ", "") for end in ("", " html", " txt")},
+    "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation": "gpl_free",
+    **{f"this work is licensed under {a} creative commons {name} international license": k for a in ("a", "the") for name, k in _CC.items()},
+}
 # Licences and the ordered sentences that make them.
 RULES = [
     ("MIT", ("mit_grant", "mit_notice", "as_is")),
@@ -49,6 +69,7 @@ RULES = [
 ]
 END = r"[.!?;:]+(?:[ \t\n\r\f\x0B]|\z)"
 SIGNS = r"[\x00-/:-@\[-`{-\x7F]+"
+_SIGNS_IN_LINE = r"[\x00-\x09\x0B\x0C\x0E-/:-@\[-`{-\x7F]+"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -56,13 +77,22 @@ def _pattern(rules: list[tuple[str, tuple[str, ...]]]) -> str:
     return "|".join(sorted(("".join(f"<{s}>" for s in ids) for _, ids in rules), key=lambda p: (-len(p), p)))
 
 
+def _pieces(sentences: dict[str, str]) -> str:
+    """From a line's beginning: the longest known sentence over whole lines, else the line."""
+    keys = sorted(filter(None, sentences), key=lambda k: (-len(k), k))
+    wrapped = "|".join("[ \n]".join(map(re.escape, k.split(" "))) for k in keys)
+    return rf"(?:{wrapped})(?![^\n])|[^\n]+"
+
+
 def sentence_ids(text: Column, sentences: dict[str, str] | None = None) -> Column:
     """Identifiers of a text's sentences in order, as ``<id>`` items in one string, with ``<>`` for each gap."""
-    sentences = sentences or SENTENCES
+    sentences = sentences or SENTENCES | VARIANTS
     known = F.create_map(*[F.lit(x) for k, v in sentences.items() for x in (k, f"<{v}>")])
-    lines = F.split(F.regexp_replace(F.translate(text, _UPPER, _LOWER), END, "\n"), "[\n\r]")
-    ids = F.transform(lines, lambda s: F.trim(F.regexp_replace(s, SIGNS, " ")))
-    ids = F.transform(F.filter(ids, lambda s: s != ""), lambda s: F.coalesce(F.try_element_at(known, s), F.lit("<>")))
+    cut = F.split(F.regexp_replace(F.translate(text, _UPPER, _LOWER), END, "\x01"), "\x01")
+    # signs to one space, then line ends with what is around them to one line end
+    plain = lambda s: F.regexp_replace(F.regexp_replace(s, _SIGNS_IN_LINE, " "), " ?[\n\r][ \n\r]*", "\n")
+    parts = F.flatten(F.transform(cut, lambda s: F.regexp_extract_all(F.btrim(plain(s), F.lit(" \n")), F.lit(_pieces(sentences)), F.lit(0))))
+    ids = F.transform(parts, lambda s: F.coalesce(F.try_element_at(known, F.translate(s, "\n", " ")), F.lit("<>")))
     return F.regexp_replace(F.array_join(ids, ""), "(?:<>)+", "<>")
 
 
@@ -72,7 +102,7 @@ def scan(df: DataFrame, text_col: str = "text", sentences: dict[str, str] | None
     names = F.create_map(*[F.lit(x) for name, ids in rules for x in ("".join(f"<{s}>" for s in ids), name)])
     text = F.col(text_col)
     # every known sentence holds one of these words, so a text without any has none
-    words = sorted({min((w for w in s.split() if len(w) > 5), key=lambda w: (w not in _HINTS, w)) for s in (sentences or SENTENCES)})
+    words = sorted({min((w for w in s.split() if len(w) > 5), key=lambda w: (w not in _HINTS, w)) for s in (sentences or SENTENCES | VARIANTS)})
     maybe = F.translate(text, _UPPER, _LOWER).rlike("|".join(words))
     out = df.withColumn("_ids", F.when(maybe, sentence_ids(text, sentences)).otherwise(F.lit("")))
     out = out.withColumn("_known", F.regexp_extract_all("_ids", F.lit("<([^<>]+)>"), F.lit(1)))

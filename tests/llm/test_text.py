@@ -220,6 +220,37 @@ def test_license_rules(spark):
     assert got == [(1, 3, "MIT"), (2, 2, ""), (3, 0, ""), (4, 0, ""), (5, 0, ""), (5, 2, "Proprietary,MIT")]
 
 
+def test_wrapped_licences(spark):
+    mit = """The MIT License
+
+Copyright (c) 2020 A B
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS BE LIABLE."""
+    apache = """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law, it is distributed as it is."""
+    rows = [(1, mit), (2, apache), (3, "\n".join(f" * {x}" for x in mit.split("\n"))), (4, apache.replace("\n", "\r\n# ")), (5, "\n\n".join(" ".join(x.split()) for x in mit.split("\n\n"))), (6, "a line\nAll rights reserved\nReleased under the\nMIT License\nand more")]
+    got = {r["doc_id"]: (r["n_sentences"], r["licenses"]) for r in license_scan.scan(spark.createDataFrame(rows, "doc_id int, text string")).collect()}
+    assert got == {1: (3, "MIT"), 2: (3, "Apache-2.0"), 3: (3, "MIT"), 4: (3, "Apache-2.0"), 5: (3, "MIT"), 6: (2, "Proprietary,MIT")}
+
+
 def test_raking_reaches_the_marginals():
     rng = random.Random(2)
     cells = [(s, lang, t, rng.randint(1, 1000)) for s in ("a", "b", "other") for lang in ("x", "y") for t in ("p", "q")]
