@@ -119,3 +119,21 @@ def fold_steps(positions: DataFrame, min_len: int = 2) -> DataFrame:
     if log is None:
         return positions.sparkSession.createDataFrame([], "unit long, len int, first long, pos long, kind int")
     return log
+
+
+def grouped_positions(df: DataFrame, key_cols: list[str], order_cols: list[str], text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """Positions ``unit, pos, code`` of the units of ``sources.grouped_units`` without gathering any of them, and ``unit`` beside its keys.
+
+    ``order_cols`` must tell the rows of a key apart. Places come from distributed ranks and running sums; no row holds more than one text.
+    """
+    same = lambda a, b, cols: [a[c].eqNullSafe(b[c]) for c in cols]
+    rows = df.where(F.col(text_col).isNotNull()).select(*key_cols, *order_cols, F.col(text_col).alias("_x"), (F.length(text_col) + 1).cast("long").alias("_n"))
+    ranks = dense_ranks(rows, [*key_cols, *order_cols], "k")
+    ranked = rows.join(ranks, same(rows, ranks, [*key_cols, *order_cols])).select(*(rows[c] for c in key_cols), "k", "_x", "_n")
+    placed = cut(running(ranked, "k", "_n", "_end"))
+    base = cut(placed.groupBy(*key_cols).agg(F.min("k").alias("unit"), F.min(F.col("_end") - F.col("_n")).alias("_start")))
+    at = placed.join(base, same(placed, base, key_cols)).select("unit", (F.col("k") - F.col("unit")).alias("_i"), (F.col("_end") - F.col("_n") - F.col("_start")).alias("_from"), "_x")
+    codes = F.when(F.col("_x") == "", F.array().cast("array<int>")).otherwise(F.transform(F.split("_x", ""), lambda c: F.ascii(c).cast("int")))
+    ended = F.concat(codes, F.array((F.col("_i") + 0x110000).cast("int")))
+    out = at.select("unit", "_from", F.posexplode(ended).alias("_p", "code")).select("unit", (F.col("_from") + F.col("_p") + 1).alias("pos"), "code")
+    return out, base.select("unit", *key_cols)
