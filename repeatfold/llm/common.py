@@ -2,38 +2,32 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_OWN: list[str] = []
+from repeatfold.plans.lineage import cut, drop_cut, shared_dir
+
+__all__ = ["components", "cut", "drop_cut", "fresh", "row_key", "shared_dir", "spread_out", "table"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share, from ``spark.checkpoint.dir``; only where that is unset (tests) an own temporary one."""
-    set_dir = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if set_dir:
-        return set_dir.rstrip("/")
-    if not _OWN:
-        _OWN.append(tempfile.mkdtemp(prefix="spark-shared-"))
-        atexit.register(shutil.rmtree, _OWN[0], ignore_errors=True)
-    return _OWN[0]
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """``names`` changed, if need be, into ones that ``df`` has no column of."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """``df`` written to the shared folder and read again: a lost executor costs no recomputation of what stands before."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def row_key(id_: Column, text: Column) -> tuple[Column, Column]:
+    """Two numbers that name a row by its id (of any type; null too) and its text; rows alike in both have the same fate."""
+    return F.xxhash64(id_.isNull(), id_.cast("string")), F.xxhash64(text)
 
 
 def spread_out(df: DataFrame, *keys: str) -> DataFrame:
@@ -43,13 +37,13 @@ def spread_out(df: DataFrame, *keys: str) -> DataFrame:
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """Connected components of ``edges (a long, b long)``: one row ``(node, component)`` for each node of an edge.
+    """Connected components of ``edges (a, b)``, nodes of any one orderable type: one row ``(node, component)`` for each node of an edge.
 
     The component is its smallest node. Alternating large and small stars; each round is written to the shared folder, and only a count
-    and a checksum reach the driver. Nulls and self-loops are dropped; no edges give no rows.
+    and a checksum reach the driver. The least neighbours are a written table too, so that the join with them has two shuffled sides and
+    adaptive execution may split the centre of a giant component. Nulls and self-loops are dropped; no edges give no rows.
     """
-    e = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
-    e = cut(e)
+    e = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
     state = None
     for _ in range(max_rounds):
         now = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
@@ -57,11 +51,13 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             break
         state = now
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        least = cut(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x"))
-        e = cut(small.select(F.greatest("x.u", "x.v").alias("u"), F.least("x.u", "x.v").alias("v")).where("u <> v").distinct())
+        near = large.groupBy("u").agg(F.min("v").alias("m"))
+        small = large.join(near, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x"))
+        last, e = e, cut(small.select(F.greatest("x.u", "x.v").alias("u"), F.least("x.u", "x.v").alias("v")).where("u <> v").distinct())
+        drop_cut(last)
+        drop_cut(least)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component")).union(e.select("v", "v").distinct())

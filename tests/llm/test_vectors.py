@@ -38,7 +38,7 @@ def brute_links(rows, least=0.9):
                     seen.add(j)
                     todo.append(j)
         c = min((rows[j][0] for j in seen if rows[j][0] is not None), default=rows[i][0])
-        out.append((rows[i][0], len(link[i]), c, rows[i][0] is None or rows[i][0] == c))
+        out.append((rows[i][0], len(link[i]), c, rows[i][0] == c))
     return out
 
 
@@ -55,6 +55,27 @@ def test_near_duplicates(vectors, split, monkeypatch):
     assert near_dup.near_duplicates(vectors.where("vec_id < 0")).count() == 0
 
 
+@pytest.mark.parametrize("split", [8000, 20])
+def test_rows_without_an_id(spark, split, monkeypatch):
+    """Every vector has a twin without an id, some clusters have no id at all, and rows without one bridge others."""
+    monkeypatch.setattr(near_dup, "SPLIT", split)
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(30, 16))
+    rows = []
+    for i in range(150):
+        v = (base[i % 30] + 0.05 * rng.normal(size=16)).tolist()
+        rows += [(100 + i if i % 30 < 25 else None, v), (None, v)]
+    u, w = np.eye(16)[0], np.eye(16)[1]
+    rows += [(3000 + k, (np.cos(a) * u + np.sin(a) * w).tolist()) for k, a in ((0, 0.0), (1, 0.8))] + [(None, (np.cos(0.4) * u + np.sin(0.4) * w).tolist())]
+    for kind in ("double", "float"):
+        df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").selectExpr("vec_id", f"cast(embedding as array<{kind}>) embedding", "1 n", "2 node", "'x' h").repartition(5)
+        got = [tuple(r) for r in near_dup.near_duplicates(df).collect()]
+        assert sorted(got, key=str) == sorted(brute_links([tuple(r)[:2] for r in df.collect()]), key=str)
+        ids = {r[0] for r in got}
+        assert all(r[2] is None or r[2] in ids for r in got)
+        assert {(r[2]) for r in got if r[0] in (3000, 3001)} == {3000}
+
+
 def test_recall_at_the_threshold():
     """Pairs at a cosine of exactly 0.9, the hardest ones, over many codes' worth of vectors."""
     rng = np.random.default_rng(9)
@@ -64,7 +85,7 @@ def test_recall_at_the_threshold():
     w -= (w * u).sum(1)[:, None] * u
     w /= np.linalg.norm(w, axis=1)[:, None]
     v = 0.9 * u + np.sqrt(1 - 0.81) * w
-    for size in (30, 64):
+    for size in (30, 64, 300):
         lists = []
         for x in (u, v):
             who, what = near_dup.decode(x, size)
