@@ -11,11 +11,16 @@ A document's set is its distinct 5-word shingles (A-Z lower-cased), the whole se
    nodes hold OR-combined token bitmaps, size ranges and least bit counts, is traversed against itself; node pairs are dropped when the
    maximum possible overlap is too small or both sides are one component, and surviving pairs of classes are verified on their sets.
 
-Frequent tokens come from counts over all documents in a table of fixed size; they only set the order, never the result. A group with more
-than ``SPLIT`` members is dealt out as pairs of its blocks.
+Frequent tokens come from counts over all documents in a table of fixed size; they only set the order, never the result. Postings are one for
+each class and map task, however many copies it holds; those of very frequent tokens are dealt over ``SALT`` partitions. A group with more than
+``SPLIT`` members is dealt out as pairs of its blocks.
 
-Null and empty texts and texts without words: an empty set, linked with nothing, a component of its own. Repeated rows are copies. A null id
-never names a component unless it is alone.
+Classes are told apart by 96 bits of their set and then have row numbers as names; a class's set is read again from one of its rows, found by
+id and text hash.
+
+Null and empty texts and texts without words: an empty set, linked with nothing, a component of its own. Repeated rows are copies. Rows with a
+null id link and bridge like others; a component is named by its smallest id, and only one without any id has a null name. An empty table
+gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -27,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from repeatfold.llm.common import components, cut, spread_out
+from repeatfold.llm.common import components, cut, fresh, row_key, spread_out
 from repeatfold.llm.near_dup import link_labels
 from repeatfold.llm.words import Slice, combine, mix, relax, window_hashes, word_slices
 
@@ -38,6 +43,9 @@ HOT_SLOTS = 1 << 16
 FIRST = 4
 #: Binary logarithm of the count, and one more, from which a token is never one of the first.
 VERY_HOT = 13
+#: Partitions over which the postings of one such token are dealt, and partitions of postings for each one of the session's shuffles.
+SALT = 16
+PARTS = 4
 SPLIT = 4_000
 LEAF, FAN = 64, 8
 
@@ -59,11 +67,12 @@ def shingle_sets(s: Slice, width: int = WIDTH) -> Iterator[tuple[int, np.ndarray
             yield d, np.zeros(0, np.uint64)
 
 
-def class_of(h: np.ndarray) -> int | None:
-    """A hash of the whole set, as a signed number; None for an empty one."""
+def class_of(h: np.ndarray) -> tuple[int, int] | None:
+    """96 bits that name a whole set, as two signed numbers; None for an empty one."""
     if not len(h):
         return None
-    return int(combine(h, np.zeros(1, np.int64)).view(np.int64)[0]) ^ len(h)
+    first, second = combine(h, np.zeros(1, np.int64)), combine(mix(h), np.zeros(1, np.int64))
+    return int(first.view(np.int64)[0]) ^ len(h), int((second >> np.uint64(32)).astype(np.uint32).view(np.int32)[0])
 
 
 def bitmap(h: np.ndarray) -> np.ndarray:
@@ -211,24 +220,17 @@ def _whole(batches: Iterator[pa.RecordBatch]) -> pa.Table | None:
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """``wanted (rep, cls, …)`` with ``set binary``: the class's tokens, from the document of that id."""
-    extra = [c for c in wanted.columns if c not in ("rep", "cls")]
-    rows = docs.join(wanted, docs["_id"] == wanted["rep"]).select("_text", "cls", *extra)
+    """``wanted (k1, k2, cls, …)`` with ``set binary``: the class's tokens, from a row of that key."""
+    extra = [c for c in wanted.columns if c not in ("k1", "k2", "cls")]
+    rows = docs.join(wanted, ["k1", "k2"]).select("_text", "cls", *extra)
     names = rows.columns
-    at_cls = names.index("cls")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for s in word_slices(batch.column(0), lower=True):
                 part = batch.slice(s.first, s.n)
-                cls = part.column(at_cls).to_pylist()
-                keep, blobs = [], []
-                for d, h in shingle_sets(s, width):
-                    if class_of(h) == cls[d]:  # of rows that share an id, the one that is meant
-                        keep.append(d)
-                        blobs.append(h.astype("<u8").tobytes())
-                kept = part.take(pa.array(keep, pa.int64()))
-                yield pa.RecordBatch.from_arrays([*kept.columns[1:], pa.array(blobs, pa.binary())], [*names[1:], "set"])
+                blobs = [h.astype("<u8").tobytes() for _, h in shingle_sets(s, width)]
+                yield pa.RecordBatch.from_arrays([*part.columns[1:], pa.array(blobs, pa.binary())], [*names[1:], "set"])
 
     schema = ", ".join(f"`{c}` {t}" for c, t in rows.dtypes[1:]) + ", set binary"
     return rows.mapInArrow(run, schema).dropDuplicates(["cls"])
@@ -236,17 +238,44 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
 
 def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of ``docs``: ``doc_id, n_shingles, component_id`` (the smallest id reachable by links)."""
-    docs = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"))
-    n_parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    found = grouped(docs, least, width, id_col, text_col)
+    return found.select(F.col("_id").alias(id_col), "n_shingles", "component_id")
+
+
+def representatives(docs: DataFrame, least: int = 80, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Of each group of linked rows of ``docs`` the one with the smallest id (one without an id only if none has one), whole; of repeated rows one.
+
+    Rows without words are in no group and stay, repeated ones once.
+    """
+    found = grouped(docs, least, width, id_col, text_col)
+    first = found.where("grp is not null").groupBy("grp").agg(F.min(F.struct(F.col("_id").isNull().alias("n"), "_id", "k1", "k2")).alias("x")).select("x.k1", "x.k2")
+    stay = first.union(found.where("grp is null").select("k1", "k2")).distinct()
+    k1, k2 = fresh(docs, "_k1", "_k2")
+    keyed = docs.withColumns(dict(zip((k1, k2), row_key(F.col(id_col), F.col(text_col)), strict=True)))
+    kept = keyed.join(stay.withColumnsRenamed({"k1": k1, "k2": k2}), [k1, k2], "left_semi")
+    return kept.dropDuplicates([k1, k2]).select(*docs.columns)
+
+
+def grouped(docs: DataFrame, least: int, width: int, id_col: str, text_col: str) -> DataFrame:
+    """One row for each row of ``docs``: ``_id, k1, k2`` (as of ``row_key``), ``n_shingles, grp`` (a number of its component; null for an empty set), ``component_id``."""
+    k1, k2 = row_key(F.col(id_col), F.col(text_col))
+    docs = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_text"), k1.alias("k1"), k2.alias("k2"))
+    n_parts = PARTS * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for s in word_slices(batch.column(1), lower=True):
+                part = batch.slice(s.first, s.n)
                 sets = [h for _, h in shingle_sets(s, width)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(s.first, s.n), pa.array([len(h) for h in sets], pa.int64()), pa.array([class_of(h) for h in sets], pa.int64()), pa.array([bitmap(h).tobytes() if len(h) else None for h in sets], pa.binary())], ["_id", "n", "cls", "map"])
+                names = [class_of(h) for h in sets]
+                hashes = [pa.array([x and x[k] for x in names], t) for k, t in ((0, pa.int64()), (1, pa.int32()))]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), part.column(3), pa.array([len(h) for h in sets], pa.int64()), *hashes, pa.array([bitmap(h).tobytes() if len(h) else None for h in sets], pa.binary())], ["_id", "k1", "k2", "n", "c1", "c2", "map"])
 
-    described = cut(docs.mapInArrow(describe, "_id long, n long, cls long, map binary"))
-    classes = described.where("cls is not null").groupBy("cls").agg(F.min("_id").alias("rep"), F.max("n").alias("n"))
+    described = docs.mapInArrow(describe, "_id long, k1 long, k2 long, n long, c1 long, c2 int, map binary")
+    described = cut(described.withColumn("row", F.monotonically_increasing_id()))
+    # a class is named by its first row; that of a row with an id, if there is one, has its set read again
+    chosen = F.min(F.struct(F.col("_id").isNull().alias("x"), "_id", "k1", "k2", "row")).alias("at")
+    classes = cut(described.where("c1 is not null").groupBy("c1", "c2").agg(chosen, F.max("n").alias("n")).select("c1", "c2", F.col("at.row").alias("cls"), F.col("at._id").alias("rep"), "at.k1", "at.k2", "n"))
 
     def frequent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count = np.zeros(1 << SLOT_BITS, np.int64)
@@ -267,12 +296,15 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
         hot[hot_slots["slot"].to_numpy()] = np.log2(hot_slots["count"].to_numpy()).astype(np.uint8) + 1
 
     def prefix_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[tuple[int, int]] = set()
         for batch in batches:
-            tokens, owners, first = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, bool)]
+            tokens, owners, others, first = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int32)], [np.zeros(0, bool)]
             for s in word_slices(batch.column(1), lower=True):
                 for _, h in shingle_sets(s, width):
-                    if not len(h):
+                    name = class_of(h)
+                    if name is None or name in seen:
                         continue
+                    seen.add(name)
                     size = len(h) - (least * len(h) + 99) // 100 + 1
                     heat = hot[(h >> np.uint64(64 - SLOT_BITS)).astype(np.int64)]
                     chosen, lead = np.zeros(len(h), bool), np.zeros(len(h), bool)
@@ -281,47 +313,65 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
                     lead[np.argsort(heat >= VERY_HOT, kind="stable")[:FIRST]] = True
                     both = chosen | lead
                     tokens.append(h[both])
-                    owners.append(np.full(int(both.sum()), class_of(h), np.int64))
+                    owners.append(np.full(int(both.sum()), name[0], np.int64))
+                    others.append(np.full(int(both.sum()), name[1], np.int32))
                     first.append(lead[both])
-            t, o, f = np.concatenate(tokens), np.concatenate(owners), np.concatenate(first)
-            part = (mix(t) % np.uint64(n_parts)).astype(np.int64)
+            t, o, p, f = (np.concatenate(x) for x in (tokens, owners, others, first))
+            very = hot[(t >> np.uint64(64 - SLOT_BITS)).astype(np.int64)] >= VERY_HOT
+            salt = np.where(very, mix(o.view(np.uint64)) % np.uint64(SALT), np.uint64(0))
+            part = (mix(t + salt) % np.uint64(n_parts)).astype(np.int64)
             order = np.argsort(part, kind="stable")
-            t, o, f, part = t[order], o[order], f[order], part[order]
+            t, o, p, f, part = t[order], o[order], p[order], f[order], part[order]
             at = np.searchsorted(part, np.arange(n_parts + 1))
             have = [k for k in range(n_parts) if at[k] < at[k + 1]]
-            yield pa.RecordBatch.from_arrays([pa.array(have, pa.int32()), *(pa.array([x[at[k] : at[k + 1]].tobytes() for k in have], pa.binary()) for x in (t, o, f))], ["part", "t", "o", "f"])
+            yield pa.RecordBatch.from_arrays([pa.array(have, pa.int32()), *(pa.array([x[at[k] : at[k + 1]].tobytes() for k in have], pa.binary()) for x in (t, o, p, f))], ["part", "t", "o", "p", "f"])
 
     def group_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = _whole(batches)
         if table is None:
             return
-        t, o, f = (np.frombuffer(b"".join(table[c].to_pylist()), d) for c, d in (("t", "<u8"), ("o", "<i8"), ("f", "?")))
-        order = np.lexsort((o, t))
-        t, o, f = t[order], o[order], f[order]
-        new = np.concatenate([[True], (t[1:] != t[:-1]) | (o[1:] != o[:-1])])
+        t, o, p, f = (np.frombuffer(b"".join(table[c].to_pylist()), d) for c, d in (("t", "<u8"), ("o", "<i8"), ("p", "<i4"), ("f", "?")))
+        order = np.lexsort((p, o, t))
+        t, o, p, f = t[order], o[order], p[order], f[order]
+        new = np.concatenate([[True], (t[1:] != t[:-1]) | (o[1:] != o[:-1]) | (p[1:] != p[:-1])])
         f = np.maximum.reduceat(f, np.flatnonzero(new)) if len(new) else f
-        t, o = t[new], o[new]
+        t, o, p = t[new], o[new], p[new]
+        very = hot[(t >> np.uint64(64 - SLOT_BITS)).astype(np.int64)] >= VERY_HOT
         # phase 1: only members for which the token is one of the first
-        for phase, tt, oo in ((1, t[f], o[f]), (2, t, o)):
+        for phase, in_phase in ((1, f), (2, np.ones(len(t), bool))):
+            # a token that is dealt over partitions has a group by its own name; its members are counted later
+            some = in_phase & very
+            if some.any():
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(int(some.sum()), phase, np.int32)), pa.array(mix(t[some]).view(np.int64)), pa.array(o[some]), pa.array(p[some]), pa.nulls(int(some.sum()), pa.int64())], ["phase", "grp", "c1", "c2", "members"])
+            some = in_phase & ~very
+            tt, oo, pp = t[some], o[some], p[some]
             if not len(tt):
                 continue
             start = np.flatnonzero(np.concatenate([[True], tt[1:] != tt[:-1]]))
             count = np.diff(np.append(start, len(tt)))
-            name = combine(oo.view(np.uint64), start) ^ count.astype(np.uint64)
+            name = combine(oo.view(np.uint64) ^ pp.astype(np.uint64), start) ^ count.astype(np.uint64)
             many = np.flatnonzero(count > 1)
             _, once = np.unique(name[many], return_index=True)
             pick = many[once]
             if not len(pick):
                 continue
             rows = np.repeat(start[pick] - (np.cumsum(count[pick]) - count[pick]), count[pick]) + np.arange(int(count[pick].sum()))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), phase, np.int32)), pa.array(np.repeat(name[pick], count[pick]).view(np.int64)), pa.array(oo[rows]), pa.array(np.repeat(count[pick], count[pick]).astype(np.int64))], ["phase", "grp", "cls", "members"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), phase, np.int32)), pa.array(np.repeat(name[pick], count[pick]).view(np.int64)), pa.array(oo[rows]), pa.array(pp[rows]), pa.array(np.repeat(count[pick], count[pick]).astype(np.int64))], ["phase", "grp", "c1", "c2", "members"])
+        relax()
 
-    groups = cut(spread_out(docs.mapInArrow(prefix_rows, "part int, t binary, o binary, f binary"), "part").mapInArrow(group_tokens, "phase int, grp long, cls long, members long"))
+    postings = docs.mapInArrow(prefix_rows, "part int, t binary, o binary, p binary, f binary")
+    groups = cut(postings.repartitionById(n_parts, F.col("part")).mapInArrow(group_tokens, "phase int, grp long, c1 long, c2 int, members long"))
+    counted = cut(groups.where("members is null").groupBy("phase", "grp").agg(F.count("*").alias("count")).where("count > 1"))
+    groups = groups.join(classes.select("c1", "c2", "cls"), ["c1", "c2"]).select("phase", "grp", "cls", "members")
+    if not counted.isEmpty():
+        dealt = groups.where("members is null").drop("members").join(counted, ["phase", "grp"]).select("phase", "grp", "cls", F.col("count").alias("members"))
+        groups = groups.where("members is not null").union(dealt)
+    groups = cut(groups.where("members is not null"))
 
     # phase 1: groups of first tokens, with their sets; large ones in blocks, since phase 2 finds what is left
     firsts = groups.where("phase = 1").select("grp", "cls", F.pmod(F.xxhash64("cls"), F.ceil(F.col("members") / SPLIT)).cast("int").alias("block"))
-    wanted = firsts.distinct().groupBy("cls").agg(F.collect_list(F.struct("grp", "block")).alias("tasks")).join(classes.select("cls", "rep"), "cls")
-    with_sets = _sets_of(docs, wanted.where("rep is not null"), width).withColumn("x", F.explode("tasks")).select("x.grp", "x.block", "cls", "set")
+    wanted = firsts.distinct().groupBy("cls").agg(F.collect_list(F.struct("grp", "block")).alias("tasks")).join(classes.select("cls", "k1", "k2"), "cls")
+    with_sets = _sets_of(docs, wanted, width).withColumn("x", F.explode("tasks")).select("x.grp", "x.block", "cls", "set")
 
     def join_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = _whole(batches)
@@ -342,7 +392,7 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
     members = groups.where("phase = 2").select("grp", "cls").distinct().join(known.withColumnRenamed("node", "cls"), "cls", "left")
     members = cut(members.select("grp", "cls", F.coalesce("component", "cls").alias("comp")))
     spans = cut(members.groupBy("grp").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("members"), F.bit_xor(F.xxhash64("cls")).alias("sum")).where("lo <> hi").groupBy("sum", "members").agg(F.min("grp").alias("grp")))
-    maps = described.where("cls is not null").select("cls", "n", "map").join(members.select("cls").distinct(), "cls", "left_semi").dropDuplicates(["cls"])
+    maps = described.select(F.col("row").alias("cls"), "n", "map").join(members.select("cls").distinct(), "cls", "left_semi")
     open_ = members.join(spans.select("grp", F.ceil(F.col("members") / (SPLIT // 2)).cast("int").alias("blocks")), "grp").join(maps, "cls")
     open_ = open_.withColumn("block", F.when(F.col("blocks") > 2, F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int")).otherwise(0))
     pair = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda c: F.least("block", c) * F.col("blocks") + F.greatest("block", c))
@@ -369,7 +419,7 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
 
     pairs = cut(spread_out(open_, "grp", "task").mapInArrow(traverse, "a long, b long").distinct())
     if not pairs.isEmpty():
-        needed = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct().join(classes.select("cls", "rep").where("rep is not null"), "cls")
+        needed = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct().join(classes.select("cls", "k1", "k2"), "cls")
         sets = cut(_sets_of(docs, needed, width).select("cls", "set"))
         both = pairs.join(sets.select(F.col("cls").alias("a"), F.col("set").alias("x")), "a").join(sets.select(F.col("cls").alias("b"), F.col("set").alias("y")), "b")
 
@@ -385,9 +435,8 @@ def similar_components(docs: DataFrame, least: int = 80, width: int = WIDTH, id_
 
         more = cut(both.select("a", "b", "x", "y").mapInArrow(check, "a long, b long"))
         known = components(edges.union(more))
-    named = classes.join(known.withColumnRenamed("node", "cls"), "cls", "left").select("cls", "rep", F.coalesce("component", "cls").alias("comp"))
-    named = cut(named)
-    ids = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    ids = cut(named.join(ids, "comp").select("cls", "component_id"))
-    out = described.select("_id", "n", "cls").join(ids, "cls", "left")
-    return out.select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "_id").alias("component_id"))
+    named = cut(classes.join(known.withColumnRenamed("node", "cls"), "cls", "left").select("c1", "c2", "rep", F.coalesce("component", "cls").alias("grp")))
+    ids = named.groupBy("grp").agg(F.min("rep").alias("component_id"))
+    ids = cut(named.join(ids, "grp").select("c1", "c2", "grp", "component_id"))
+    out = described.select("_id", "k1", "k2", "n", "c1", "c2").join(ids, ["c1", "c2"], "left")
+    return out.select("_id", "k1", "k2", F.col("n").alias("n_shingles"), "grp", F.when(F.col("c1").isNull(), F.col("_id")).otherwise(F.col("component_id")).alias("component_id"))

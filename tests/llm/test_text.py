@@ -95,6 +95,35 @@ def test_ngram_join(which, request):
     assert got == brute_components(pairs(df))
 
 
+def without_ids(rows):
+    """A third of the ids go, and with them those of whole groups and of bridges."""
+    words = [f"b{i}" for i in range(104)]
+    chain = [(900, " ".join(words[:100])), (None, " ".join(words[2:102])), (902, " ".join(words[4:104]))]
+    alone = [(None, "no id at all " * 9), (None, "no id at all " * 9 + "x")]
+    return [(None if i % 3 == 1 or t == "same " * 100 else d, t) for i, (d, t, *_) in enumerate(rows)] + chain + alone
+
+
+@pytest.mark.parametrize(("split", "very"), [(4000, 13), (2, 1)])
+def test_ngram_join_of_rows_without_ids(spark, split, very, monkeypatch):
+    """Rows without an id bridge others; very frequent tokens are dealt over partitions."""
+    monkeypatch.setattr(ngram_join, "SPLIT", split)
+    monkeypatch.setattr(ngram_join, "VERY_HOT", very)
+    rows = without_ids(odd_rows())
+    words = "k1 long, k2 long, cls long, _id long, grp string"
+    df = spark.createDataFrame([(d, t, 1, 2, 3, 4, "x") for d, t in rows], f"doc_id long, text string, {words}").repartition(5)
+    got = sorted(map(tuple, ngram_join.similar_components(df).collect()), key=str)
+    assert got == brute_components(rows)
+    label = {(r[0], r[1]): r for r in got}
+    assert {r[2] for r in got if r[0] in (900, 902)} == {900} and len(label) <= len(got)
+    kept = ngram_join.representatives(df)
+    assert kept.columns == df.columns
+    texts = [(r["doc_id"], r["text"]) for r in kept.collect()]
+    assert len(texts) == len(set(texts)) and sum((t or "").startswith("no id at all") for _, t in texts) == 1
+    assert {t for d, t in texts if d == 900 or (t or "").startswith("b2 ")} == {chain for d, chain in rows if d == 900}
+    groups = {(r[2], r[1]) for r in got if r[2] is not None and r[1]}
+    assert {c for c, _ in groups} == {d for d, t in texts if d is not None and re.findall(SPACES, t or "")}
+
+
 def test_ngram_join_in_blocks(docs, monkeypatch):
     monkeypatch.setattr(ngram_join, "SPLIT", 2)
     monkeypatch.setattr(ngram_join, "FIRST", 0)  # everything is left to the exact phase
