@@ -3,18 +3,22 @@
 Every window of ``width`` words has an anchor, the least hash of the k-grams in it; equal windows have equal anchors, and the consecutive
 windows of a document with one anchor are a segment. So a window's other occurrences are found among the segments of its anchor alone:
 
-* anchors are counted over the whole corpus; those that stand once are done, and of one whose segments are all alike every window repeats;
-* the distinct segments of any other anchor, with their multiplicities, are a reference shard: a suffix automaton of the shard is built where
-  the shard is, its segments stream through it, and the matching statistics with the states' occurrence counts say which windows repeat;
-* an anchor with more distinct segments than ``SHARD`` has its windows counted by their hashes instead, which no single task has to hold.
+* anchors are counted over the whole corpus; those that stand once are done;
+* the distinct segments of all others, with their multiplicities, are dealt out by anchor and packed into reference shards of at most
+  ``SHARD_WORDS`` words; each shard's suffix automaton is built where the shard is, the segments stream through it, and the matching statistics
+  with the states' occurrence counts say which windows repeat, hence the maximal spans to remove;
+* an anchor with more than ``SHARD`` distinct segments does not fit: its segments are cut up again by anchors of longer k-grams (``GRAMS``, then
+  whole windows), which equal windows share too, and those go the same way.
 
-Windows are judged on the input. Words are ``[^\\x20\\x09-\\x0D]+``, taken as they are and compared by 64-bit hashes.
+Windows are judged on the input. Words are ``[^\\x20\\x09-\\x0D]+``, taken as they are and compared by 64-bit hashes. A segment that goes on for more
+than ``RUN`` windows (a periodic text) is cut there, so a shard's size does not follow a text's.
 
 ``strip_reference`` removes what matches a given reference instead: automata of its shards are broadcast (the size is checked) and documents
 stream through them.
 
 Null and empty texts have no words: nothing is removed, the kept text is empty. Repeated rows are occurrences of each other. A very long
-text is one slice of a batch.
+text is one slice of a batch. Ids may be of any type, and null. Columns of the input named like the results are replaced, other names never
+clash; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -28,11 +32,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
-from repeatfold.llm.common import cut, spread_out
+from repeatfold.llm.common import cut, fresh, row_key, spread_out
 from repeatfold.llm.words import Slice, mix, window_hashes, word_slices, _powers
 
-GRAM = 8
+GRAMS = (8, 20)
+#: Distinct segments of an anchor that go into one shard, and words of a shard (of more than one segment).
 SHARD = 2_000
+SHARD_WORDS = 100_000
+#: Windows of one segment at most.
+RUN = 2_048
 #: Words of a broadcast reference at most.
 MAX_REFERENCE = 2_000_000
 
@@ -116,12 +124,12 @@ def _sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(out[: len(out) - rest], out[rest:]) if rest else out
 
 
-def segments(words: np.ndarray, at: np.ndarray, width: int) -> tuple[np.ndarray, ...]:
+def segments(words: np.ndarray, at: np.ndarray, width: int, gram: int = GRAMS[0]) -> tuple[np.ndarray, ...]:
     """(document, first word within it, windows, anchor, content hash, whether a window may stand in it twice) of all segments of a slice.
 
     ``at``: first word of each document, and the end.
     """
-    gram = min(GRAM, width)
+    gram = min(gram, width)
     grams = window_hashes(words, gram)
     if len(words) < width:
         return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64, bool))
@@ -133,6 +141,11 @@ def segments(words: np.ndarray, at: np.ndarray, width: int) -> tuple[np.ndarray,
     stop = inside.copy()
     stop[:-1] &= (anchor[1:] != anchor[:-1]) | ~inside[1:]
     a, b = np.flatnonzero(new), np.flatnonzero(stop) + 1
+    if len(a) and (b - a).max() > RUN:
+        pieces = -(-(b - a) // RUN)
+        k = np.arange(int(pieces.sum())) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+        a, b = np.repeat(a, pieces) + RUN * k, np.repeat(b, pieces)
+        b = np.minimum(b, a + RUN)
     head = np.concatenate([[0], np.cumsum((grams[: len(anchor)] == anchor) & inside)])
     again = head[b - 1] > head[a]
     p, q = _powers(len(words) + 1)
@@ -142,31 +155,86 @@ def segments(words: np.ndarray, at: np.ndarray, width: int) -> tuple[np.ndarray,
     return doc[a], a - at[doc[a]], b - a, anchor[a], content, again
 
 
-def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """``_did, _uid, _text``: a row's id and its text's hash name it; rows alike in both have the same fate."""
-    text = F.col(text_col)
-    return docs.select(F.col(id_col).cast("long").alias("_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(-(2**63))).alias("_did"), F.xxhash64(text).alias("_uid"), text.alias("_text"))
+CONTENT = "anchor long, seg long, times long, words binary"
+
+
+def _marks(content: DataFrame, width: int, grams: tuple[int, ...]) -> DataFrame:
+    """``(anchor, seg, idx)``: windows of the distinct segments ``content`` that repeat; ``idx`` null where all do."""
+
+    def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        some = [b for b in batches if len(b)]
+        if not some:
+            return
+        table = pa.Table.from_batches(some)
+        anchor, seg, times, blobs = table["anchor"].to_numpy(), table["seg"].to_numpy(), table["times"].to_numpy(), table["words"].combine_chunks()
+        size = np.diff(np.frombuffer(blobs.buffers()[1], np.int32)[blobs.offset : blobs.offset + len(blobs) + 1]) // 8
+        order = np.lexsort((seg, anchor))
+        starts = np.flatnonzero(np.concatenate([[True], anchor[order][1:] != anchor[order][:-1]]))
+        # whole anchors, one after another, fill a shard
+        weight = np.add.reduceat(size[order], starts)
+        shard, shards, room = [], [], SHARD_WORDS
+        for k, w in enumerate(weight.tolist()):
+            if shard and w > room:
+                shards.append(shard)
+                shard, room = [], SHARD_WORDS
+            shard.append(k)
+            room -= w
+        shards.append(shard)
+        ends = np.append(starts[1:], len(order))
+        for shard in shards:
+            rows = order[starts[shard[0]] : ends[shard[-1]]]
+            texts = [np.frombuffer(blobs[int(k)].as_buffer(), "<i8").tolist() for k in rows]
+            automaton = SuffixAutomaton()
+            for words, n in zip(texts, times[rows].tolist(), strict=True):
+                automaton.add(words, n)
+            out: list[list] = [[], [], []]
+            for words, k in zip(texts, rows.tolist(), strict=True):
+                counts = automaton.window_counts(words, width)
+                hit = [i for i, c in enumerate(counts) if c > 1]
+                if hit:
+                    for o, x in zip(out, (int(anchor[k]), int(seg[k]), None if len(hit) == len(counts) else hit), strict=True):
+                        o.append(x)
+            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.list_(pa.int32()))], ["anchor", "seg", "idx"])
+
+    here = lambda df: spread_out(df, "anchor").mapInArrow(match, "anchor long, seg long, idx array<int>")
+    crowded = cut(content.groupBy("anchor").count().where(F.col("count") > SHARD).select("anchor")) if grams else None
+    if crowded is None or crowded.isEmpty():
+        return here(content)
+
+    def cut_again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(len(batch)):
+                words = np.frombuffer(batch.column(3)[k].as_buffer(), "<u8")
+                _, start, n, anchor, inner, _ = segments(words, np.array([0, len(words)]), width, grams[0])
+                longer = mix(anchor ^ mix(batch.column(0).slice(k, 1).to_numpy().view(np.uint64)))
+                blobs = [words[a : a + m + width - 1].tobytes() for a, m in zip(start.tolist(), n.tolist(), strict=True)]
+                own = batch.take(pa.array(np.full(len(start), k)))
+                yield pa.RecordBatch.from_arrays([own.column(0), own.column(1), own.column(2), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(longer.view(np.int64)), pa.array(inner.view(np.int64)), pa.array(blobs, pa.binary())], ["outer", "outer_seg", "times", "start", "n", "anchor", "seg", "words"])
+
+    finer = content.join(crowded, "anchor", "left_semi").select("anchor", "seg", "times", "words")
+    finer = cut(finer.mapInArrow(cut_again, "outer long, outer_seg long, times long, start int, n int, anchor long, seg long, words binary"))
+    inner = cut(finer.groupBy("anchor", "seg").agg(F.sum("times").alias("times"), F.first("words").alias("words")))
+    found = finer.select("outer", "outer_seg", "start", "n", "anchor", "seg").join(_marks(inner, width, grams[1:]), ["anchor", "seg"])
+    every = F.coalesce("idx", F.sequence(F.lit(0), F.col("n") - 1))
+    back = found.select("outer", "outer_seg", F.explode(F.transform(every, lambda i: i + F.col("start"))).alias("i")).groupBy(F.col("outer").alias("anchor"), F.col("outer_seg").alias("seg")).agg(F.collect_set("i").alias("idx"))
+    return here(content.join(crowded, "anchor", "left_anti")).union(back)
 
 
 def repeated_spans(docs: DataFrame, width: int) -> DataFrame:
-    """``(_did, _uid, spans)``: for documents (as of ``_keyed``) with repeated windows, structs (start, n, idx): n windows from ``start``, or only those at ``idx``."""
+    """``(k1, k2, spans)`` for the rows of ``docs`` (``k1, k2, _text``) with repeated windows: structs (start, n, idx), n windows from ``start`` or only those at ``idx``."""
 
     def cut_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for s in word_slices(batch.column(2)):
                 doc, start, n, anchor, content, again = segments(s.hashes() if len(s.start) else np.zeros(0, np.uint64), s.at, width)
                 at = pa.array(doc + s.first)
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(anchor.view(np.int64)), pa.array(content.view(np.int64)), pa.array(again)], ["_did", "_uid", "start", "n", "anchor", "seg", "again"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(anchor.view(np.int64)), pa.array(content.view(np.int64)), pa.array(again)], ["k1", "k2", "start", "n", "anchor", "seg", "again"])
 
-    segs = docs.select("_did", "_uid", "_text").mapInArrow(cut_up, "_did long, _uid long, start int, n int, anchor long, seg long, again boolean")
-    anchors = segs.groupBy("anchor").agg(F.count("*").alias("rows"), F.min("seg").alias("lo"), F.max("seg").alias("hi"), F.max("again").alias("again")).where("rows > 1 or again")
-    anchors = cut(anchors.select("anchor", (F.col("again") | (F.col("lo") != F.col("hi"))).alias("mixed")))
+    segs = docs.select("k1", "k2", "_text").mapInArrow(cut_up, "k1 long, k2 long, start int, n int, anchor long, seg long, again boolean")
+    anchors = cut(segs.groupBy("anchor").agg(F.count("*").alias("rows"), F.max("again").alias("again")).where("rows > 1 or again").select("anchor"))
     found = cut(segs.drop("again").join(anchors, "anchor"))
-
-    variants = cut(found.where("mixed").groupBy("anchor", "seg").agg(F.count("*").alias("times"), F.min(F.struct("_did", "_uid", "start", "n")).alias("at")))
-    many = cut(variants.groupBy("anchor").count().where(F.col("count") > SHARD).select("anchor", F.lit(True).alias("many")))
-    wanted = variants.join(many, "anchor", "left").groupBy(F.col("at._did").alias("_did"), F.col("at._uid").alias("_uid"))
-    wanted = wanted.agg(F.collect_list(F.struct("anchor", "seg", "times", F.col("at.start").alias("start"), F.col("at.n").alias("n"), F.coalesce("many", F.lit(False)).alias("many"))).alias("w"))
+    variants = found.groupBy("anchor", "seg").agg(F.count("*").alias("times"), F.min(F.struct("k1", "k2", "start", "n")).alias("at"))
+    wanted = variants.groupBy(F.col("at.k1").alias("k1"), F.col("at.k2").alias("k2")).agg(F.collect_list(F.struct("anchor", "seg", "times", F.col("at.start").alias("start"), F.col("at.n").alias("n"))).alias("w"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -179,51 +247,13 @@ def repeated_spans(docs: DataFrame, width: int) -> DataFrame:
                 begin = s.at[owner] + flat.field("start").to_numpy()
                 end = begin + flat.field("n").to_numpy() + width - 1
                 blobs = [h[a:b].astype("<i8").tobytes() for a, b in zip(begin.tolist(), end.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([flat.field("anchor"), flat.field("seg"), flat.field("times"), flat.field("many"), pa.array(blobs, pa.binary())], ["anchor", "seg", "times", "many", "words"])
-
-    content = docs.join(wanted, ["_did", "_uid"]).select("_text", "w").mapInArrow(fetch, "anchor long, seg long, times long, many boolean, words binary")
-    content = cut(content)
-
-    def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        some = [b for b in batches if len(b)]
-        if not some:
-            return
-        table = pa.Table.from_batches(some)
-        anchor, seg, times, blobs = table["anchor"].to_numpy(), table["seg"].to_numpy(), table["times"].to_numpy(), table["words"].combine_chunks()
-        order = np.lexsort((seg, anchor))
-        new = np.concatenate([[True], anchor[order][1:] != anchor[order][:-1]])
-        out_anchor, out_seg, out_idx = [], [], []
-        for rows in np.split(order, np.flatnonzero(new)[1:]):
-            # rows of repeated documents bring a segment twice
-            rows = rows[np.concatenate([[True], seg[rows][1:] != seg[rows][:-1]])]
-            texts = [np.frombuffer(blobs[int(k)].as_buffer(), "<i8").tolist() for k in rows]
-            automaton = SuffixAutomaton()
-            for words, k in zip(texts, rows.tolist(), strict=True):
-                automaton.add(words, int(times[k]))
-            for words, k in zip(texts, rows.tolist(), strict=True):
-                hit = [i for i, c in enumerate(automaton.window_counts(words, width)) if c > 1]
-                if hit:
-                    out_anchor.append(int(anchor[k]))
-                    out_seg.append(int(seg[k]))
-                    out_idx.append(hit)
-        yield pa.RecordBatch.from_arrays([pa.array(out_anchor, pa.int64()), pa.array(out_seg, pa.int64()), pa.array(out_idx, pa.list_(pa.int32()))], ["anchor", "seg", "idx"])
-
-    def unroll(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(len(batch)):
-                h = window_hashes(np.frombuffer(batch.column(3)[k].as_buffer(), "<u8"), width)
-                take = pa.array(np.full(len(h), k))
-                yield pa.RecordBatch.from_arrays([*(batch.column(c).take(take) for c in range(3)), pa.array(np.arange(len(h), dtype=np.int32)), pa.array(h.view(np.int64))], ["anchor", "seg", "times", "i", "h"])
+                yield pa.RecordBatch.from_arrays([flat.field("anchor"), flat.field("seg"), flat.field("times"), pa.array(blobs, pa.binary())], ["anchor", "seg", "times", "words"])
 
-    marks = spread_out(content.where("not many").select("anchor", "seg", "times", "words"), "anchor").mapInArrow(match, "anchor long, seg long, idx array<int>")
-    if not many.isEmpty():
-        windows = cut(content.where("many").dropDuplicates(["anchor", "seg"]).select("anchor", "seg", "times", "words").mapInArrow(unroll, "anchor long, seg long, times long, i int, h long"))
-        twice = cut(windows.groupBy("h").agg(F.sum("times").alias("times")).where("times > 1").select("h"))
-        marks = marks.union(windows.join(twice, "h").groupBy("anchor", "seg").agg(F.collect_set("i").alias("idx")))
-    marks = cut(marks)
-    whole = found.where("not mixed").select("_did", "_uid", "start", "n", F.lit(None).cast("array<int>").alias("idx"))
-    some = found.where("mixed").join(marks, ["anchor", "seg"]).select("_did", "_uid", "start", "n", "idx")
-    return whole.union(some).groupBy("_did", "_uid").agg(F.collect_set(F.struct("start", "n", "idx")).alias("spans"))
+    # rows that share id and text bring a segment twice
+    content = docs.join(wanted, ["k1", "k2"]).select("k1", "k2", "_text", "w").dropDuplicates(["k1", "k2"]).select("_text", "w").mapInArrow(fetch, CONTENT)
+    marks = cut(_marks(cut(content), width, (*GRAMS[1:], width)))
+    some = found.join(marks, ["anchor", "seg"]).select("k1", "k2", "start", "n", "idx")
+    return some.groupBy("k1", "k2").agg(F.collect_set(F.struct("start", "n", "idx")).alias("spans"))
 
 
 def covered(s: Slice, spans: pa.Array, width: int) -> np.ndarray:
@@ -267,10 +297,11 @@ def dedup(docs: DataFrame, width: int = 35, id_col: str = "doc_id", text_col: st
     """One row for each row of ``docs``: its columns but the text's old value, with ``n_words, n_removed, kept_sha256`` and, with ``with_text``, the kept text in ``text_col``."""
     own = ["n_words", "n_removed", "kept_sha256"]
     rest = [c for c in docs.columns if c not in (text_col, *own)] if with_text else [id_col]
-    keyed = _keyed(docs, id_col, text_col)
-    spans = repeated_spans(keyed, width)
-    key = {"_did": F.coalesce(F.col(id_col).cast("long"), F.lit(-(2**63))), "_uid": F.xxhash64(text_col)}
-    rows = docs.withColumns(key).join(spans, ["_did", "_uid"], "left").select(*rest, F.col(text_col), "spans")
+    key = row_key(F.col(id_col), F.col(text_col))
+    spans = repeated_spans(docs.select(key[0].alias("k1"), key[1].alias("k2"), F.col(text_col).alias("_text")), width)
+    k1, k2, found = fresh(docs, "_k1", "_k2", "_spans")
+    spans = spans.withColumnsRenamed({"k1": k1, "k2": k2, "spans": found})
+    rows = docs.withColumns({k1: key[0], k2: key[1]}).join(spans, [k1, k2], "left").select(*rest, F.col(text_col), found)
     fields = [docs.schema[c] for c in rest] + ([StructField(text_col, StringType())] if with_text else [])
     n_rest = len(rest)
 

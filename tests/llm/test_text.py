@@ -159,9 +159,12 @@ def brute_dedup(rows, width=35):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize(("which", "shard"), [("odd", 2000), ("docs", 2000), ("docs", 2)])
+@pytest.mark.parametrize(("which", "shard"), [("odd", 2000), ("odd", 1), ("docs", 2000), ("docs", 2)])
 def test_substring_dedup(which, shard, request, monkeypatch):
+    """Small shards send nearly every anchor through longer ones, and cut periodic texts."""
     monkeypatch.setattr(substring_dedup, "SHARD", shard)
+    monkeypatch.setattr(substring_dedup, "SHARD_WORDS", 50 * shard)
+    monkeypatch.setattr(substring_dedup, "RUN", max(16, shard))
     df = request.getfixturevalue(which)
     out = substring_dedup.dedup(df.select("doc_id", "text"), with_text=False)
     assert sorted(map(tuple, out.collect()), key=str) == brute_dedup(pairs(df))
@@ -175,6 +178,15 @@ def test_substring_dedup_keeps_texts_and_columns(odd):
         assert len(re.findall(SPACES, r["text"])) == r["n_words"] - r["n_removed"]
 
 
+def test_substring_dedup_with_clashing_names_and_text_ids(odd):
+    mine = odd.selectExpr("cast(doc_id as string) doc_id", "text", "1 spans", "2 _did", "3 _uid", "4 k1", "5 _k1", "6 _spans", "'x' n_words", "7 anchor")
+    out = substring_dedup.dedup(mine)
+    assert set(out.columns) == {*mine.columns, "n_removed", "kept_sha256"}
+    rows = out.collect()
+    assert all((r["spans"], r["_did"], r["_uid"], r["k1"], r["_k1"], r["_spans"], r["anchor"]) == (1, 2, 3, 4, 5, 6, 7) for r in rows)
+    assert sorted([(r["doc_id"] and int(r["doc_id"]), r["n_words"], r["n_removed"], r["kept_sha256"]) for r in rows], key=str) == brute_dedup(pairs(odd))
+
+
 def test_automaton_counts():
     rng = random.Random(5)
     texts = [[rng.randrange(3) for _ in range(rng.randint(4, 30))] for _ in range(12)]
