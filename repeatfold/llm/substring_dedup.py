@@ -23,6 +23,7 @@ clash; an empty table gives no rows.
 
 from __future__ import annotations
 
+import gc
 import hashlib
 from collections.abc import Iterator
 
@@ -54,63 +55,71 @@ class SuffixAutomaton:
         self.settled = False
 
     def _clone(self, p: int, q: int, w: int) -> int:
-        self.next.append(dict(self.next[q]))
-        self.link.append(self.link[q])
+        nxt, link = self.next, self.link
+        c = len(nxt)
+        nxt.append(nxt[q].copy())
+        link.append(link[q])
         self.length.append(self.length[p] + 1)
         self.count.append(0)
-        c = len(self.next) - 1
-        self.link[q] = c
-        while p >= 0 and self.next[p].get(w) == q:
-            self.next[p][w] = c
-            p = self.link[p]
+        link[q] = c
+        while p >= 0 and nxt[p].get(w) == q:
+            nxt[p][w] = c
+            p = link[p]
         return c
 
     def add(self, words: list[int], times: int = 1) -> None:
+        nxt, link, length, count = self.next, self.link, self.length, self.count
         last = 0
         for w in words:
-            q = self.next[last].get(w)
+            q = nxt[last].get(w)
             if q is not None:
-                last = q if self.length[q] == self.length[last] + 1 else self._clone(last, q, w)
+                last = q if length[q] == length[last] + 1 else self._clone(last, q, w)
             else:
-                self.next.append({})
-                self.link.append(0)
-                self.length.append(self.length[last] + 1)
-                self.count.append(0)
-                new, p = len(self.next) - 1, last
-                while p >= 0 and w not in self.next[p]:
-                    self.next[p][w] = new
-                    p = self.link[p]
-                if p >= 0:
-                    q = self.next[p][w]
-                    self.link[new] = q if self.length[q] == self.length[p] + 1 else self._clone(p, q, w)
+                new, p = len(nxt), last
+                nxt.append({})
+                length.append(length[last] + 1)
+                count.append(0)
+                link.append(0)
+                while p >= 0:
+                    out = nxt[p]
+                    if w in out:
+                        q = out[w]
+                        link[new] = q if length[q] == length[p] + 1 else self._clone(p, q, w)
+                        break
+                    out[w] = new
+                    p = link[p]
                 last = new
-            self.count[last] += times
+            count[last] += times
         self.settled = False
 
     def settle(self) -> None:
         """Occurrences reach the shorter sequences that end with a state's ones."""
-        for s in sorted(range(1, len(self.next)), key=self.length.__getitem__, reverse=True):
-            self.count[self.link[s]] += self.count[s]
+        count, link = self.count, self.link
+        for s in np.argsort(-np.array(self.length[1:]), kind="stable").tolist():
+            count[link[s + 1]] += count[s + 1]
         self.settled = True
 
     def window_counts(self, words: list[int], width: int) -> list[int]:
         """For each window of ``width`` words, how often it stands in the shard: 0 where the matching statistic is shorter."""
         if not self.settled:
             self.settle()
+        nxt, link, length, count = self.next, self.link, self.length, self.count
         out, state, matched = [], 0, 0
-        nxt, link, length = self.next, self.link, self.length
         for k, w in enumerate(words):
-            while state and w not in nxt[state]:
+            to = nxt[state].get(w)
+            while to is None and state:
                 state = link[state]
                 matched = length[state]
-            if w in nxt[state]:
-                state = nxt[state][w]
+                to = nxt[state].get(w)
+            if to is not None:
+                state = to
                 matched += 1
-            while matched > width and length[link[state]] >= width:
-                state = link[state]
-                matched = length[state]
+            if matched > width:
+                while length[link[state]] >= width:
+                    state = link[state]
+                    matched = length[state]
             if k >= width - 1:
-                out.append(self.count[state] if matched >= width else 0)
+                out.append(count[state] if matched >= width else 0)
         return out
 
 
@@ -183,10 +192,15 @@ def _marks(content: DataFrame, width: int, grams: tuple[int, ...]) -> DataFrame:
         ends = np.append(starts[1:], len(order))
         for shard in shards:
             rows = order[starts[shard[0]] : ends[shard[-1]]]
-            texts = [np.frombuffer(blobs[int(k)].as_buffer(), "<i8").tolist() for k in rows]
+            # words by small numbers, which dictionaries take faster
+            stop = np.cumsum(size[rows])
+            flat = np.unique(np.frombuffer(b"".join(blobs.take(pa.array(rows)).to_pylist()), "<i8"), return_inverse=True)[1].tolist()
+            texts = [flat[b - n : b] for b, n in zip(stop.tolist(), size[rows].tolist(), strict=True)]
             automaton = SuffixAutomaton()
+            gc.disable()  # a state is a dictionary; looking through all of them for cycles takes as long as building them
             for words, n in zip(texts, times[rows].tolist(), strict=True):
                 automaton.add(words, n)
+            gc.enable()
             out: list[list] = [[], [], []]
             for words, k in zip(texts, rows.tolist(), strict=True):
                 counts = automaton.window_counts(words, width)
