@@ -23,7 +23,6 @@ clash; an empty table gives no rows.
 
 from __future__ import annotations
 
-import gc
 import hashlib
 from collections.abc import Iterator
 
@@ -197,10 +196,8 @@ def _marks(content: DataFrame, width: int, grams: tuple[int, ...]) -> DataFrame:
             flat = np.unique(np.frombuffer(b"".join(blobs.take(pa.array(rows)).to_pylist()), "<i8"), return_inverse=True)[1].tolist()
             texts = [flat[b - n : b] for b, n in zip(stop.tolist(), size[rows].tolist(), strict=True)]
             automaton = SuffixAutomaton()
-            gc.disable()  # a state is a dictionary; looking through all of them for cycles takes as long as building them
             for words, n in zip(texts, times[rows].tolist(), strict=True):
                 automaton.add(words, n)
-            gc.enable()
             out: list[list] = [[], [], []]
             for words, k in zip(texts, rows.tolist(), strict=True):
                 counts = automaton.window_counts(words, width)

@@ -306,10 +306,26 @@ def test_raking_reaches_the_marginals():
 
 
 def test_mixing_of_odd_rows(odd):
-    out = mixing.calibrate(odd.withColumn("kept", F.lit("clash")))
+    out = mixing.calibrate(odd.withColumns({"copies": F.lit("clash"), "_s": F.lit(1), "_k": F.lit(2)}))
     rows = out.collect()
-    assert len(rows) == len(odd_rows()) and all(0 <= r["probability"] <= 1 for r in rows)
+    assert len(rows) == len(odd_rows()) and all(r["rate"] >= 0 and int(r["rate"]) <= r["copies"] <= int(r["rate"]) + 1 and (r["_s"], r["_k"]) == (1, 2) for r in rows)
+    assert mixing.sample(out).count() == sum(r["copies"] for r in rows)
     assert mixing.calibrate(odd.where("doc_id < 0")).count() == 0
+    with pytest.raises(ValueError, match="does not occur"):
+        mixing.calibrate(odd, strict=True)
+
+
+@pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
+def test_mixing_meets_its_targets(spark, sf):
+    mixed = mixing.calibrate(spark.read.parquet(f"/root/testdata/{sf}/documents.parquet"), strict=True)
+    rows = mixing.marginals(mixed).collect()
+    assert len(rows) >= 27 and all(abs(r["wanted"] - r["expected"]) < mixing.CLOSE for r in rows)
+
+
+def test_mixing_refuses_contradicting_targets(spark):
+    df = spark.createDataFrame([(i, "w", "en" if i % 2 else "de", "src0" if i % 2 else "src1") for i in range(40)], "doc_id long, text string, lang string, source string")
+    with pytest.raises(ValueError, match="instead of"):
+        mixing.calibrate(df, source={"src0": 0.5, "src1": 0.5}, lang={"en": 0.9, "de": 0.1}, topic={"prose": 1.0}, strict=True)
 
 
 def test_mixing_repeats_scarce_cells(spark):
@@ -317,7 +333,7 @@ def test_mixing_repeats_scarce_cells(spark):
     topic = {"prose": 0.7, "contact": 0.3}
     mixed = mixing.calibrate(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string"), topic=topic)
     out = mixed.collect()
-    assert max(r["copies"] for r in out) > 1 and all((r["copies"] > 0) == r["kept"] for r in out)
+    assert max(r["copies"] for r in out) > 1
     got = {(r["dimension"], r["category"]): r for r in mixing.marginals(mixed, topic=topic).collect()}
     for k, want in (("contact", 0.3), ("prose", 0.7)):
         assert abs(got["topic", k]["wanted"] - want) < 1e-9 and abs(got["topic", k]["expected"] - want) < 1e-6 and abs(got["topic", k]["reached"] - want) < 0.01
