@@ -92,29 +92,39 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     }
 
 
-def url_filter_sql() -> str:
+def url_filter_sql(source: str = "pages") -> str:
+    """Verdicts with the components by plain recursion over the edges."""
     upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
     q = lambda s: "'" + s.replace("'", "''") + "'"
     rules = ", ".join(f"('{a}', '{h}', '{p}', '{h + p}')" for a, h, p in URL_RULES)
     head = lambda c: f"regexp_extract({c}, '(?s)^(.*?://[^/?#]*)', 1)"
     node = lambda c: f"case when {head(c)} <> '' then translate({head(c)}, '{upper}', '{lower}') || regexp_extract({c}, '(?s)^.*?://[^/?#]*([^#]*)', 1) end"
-    parts = lambda c: f"translate(coalesce(regexp_extract({c}, '(?s)^.*?://([^/?#]*)([^?#]*)', 1), ''), '{upper}', '{lower}') as host, coalesce(regexp_extract({c}, '(?s)^.*?://([^/?#]*)([^?#]*)', 2), '') as path"
+    low_host = lambda c: f"translate(coalesce(regexp_extract({c}, '(?s)^.*?://([^/?#]*)([^?#]*)', 1), ''), '{upper}', '{lower}')"
+    path = lambda c: f"coalesce(regexp_extract({c}, '(?s)^.*?://([^/?#]*)([^?#]*)', 2), '')"
+    parts = lambda c: f"{low_host(c)} as host, {path(c)} as path"
     judged = lambda t, key: f"select {key}, arg_max(struct_pack(rule := rule, action := action), (length(rule) * 2 + (action = 'allow')::int)) as hit from {t} join rules on (host = h or ends_with(host, '.' || h)) and starts_with(path, p) group by all"
     folder = "regexp_extract(url, '(?s)^(.*?://[^/?#]*(?:/[^?#]*/|/)?)', 1)"
+    tags = lambda tag, part: f"list_transform(regexp_extract_all(coalesce(html, ''), {q(tag)}), lambda x: regexp_extract(x, {q(part)}, 1))"
     return f"""
 with recursive rules(action, h, p, rule) as (values {rules}),
-page as (select row_number() over () as r, page_id, url, html, {parts('url')} from pages),
-targets as (select url, unnest([regexp_extract(regexp_extract(html, {q(url_filter.CANONICAL)}), {q(url_filter.HREF)}, 1), regexp_extract(regexp_extract(html, {q(url_filter.REFRESH)}), {q(url_filter.TARGET)}, 1)]) as t from page where url is not null),
-resolved as (select url as f, case when contains(t, '://') then t when starts_with(t, '//') then regexp_extract(url, '(?s)^(.*?:)//', 1) || t when starts_with(t, '/') then {head('url')} || t
+page as (select row_number() over () as r, page_id, url, html, {parts('url')} from {source}),
+shorter as (select url, 'https://' || regexp_replace(host, {q(url_filter.FIRST_LABEL)}, '') || regexp_replace(path, {q(url_filter.PAGE_END)}, '') as t,
+  array_to_string(list_filter(string_split(regexp_extract(url, '(?s)^.*?://[^?#]*\\?([^#]*)', 1), '&'), lambda x: x <> '' and not regexp_matches(x, {q(url_filter.TRACKING)})), '&') as kept from page where contains(url, '://')),
+targets as (select url, regexp_replace(unnest(list_concat({tags(url_filter.CANONICAL, url_filter.HREF)}, {tags(url_filter.REFRESH, url_filter.TARGET)})), '&(?:amp|#38|#[xX]26);', '&', 'g') as t from page where contains(url, '://')),
+resolved as (select url as f, case when regexp_matches(t, {q(url_filter.SCHEME + '//')}) then t when regexp_matches(t, {q(url_filter.SCHEME)}) then null when starts_with(t, '//') then regexp_extract(url, '(?s)^(.*?:)//', 1) || t
+  when starts_with(t, '/') then {head('url')} || t when starts_with(t, '?') then regexp_extract(url, '(?s)^([^?#]*)', 1) || t when starts_with(t, '#') then url
   else {folder} || case when ends_with({folder}, '/') then '' else '/' end || t end as t from targets where t <> ''),
-links as (select {node('f')} as f, {node('t')} as t from resolved),
+split as (select f, t, {path('t')} as p, list_transform(string_split({path('t')}, '/')[2:], lambda x: [x]) as s from resolved where t is not null),
+flat as (select f, t, p, list_reduce(list_prepend([]::varchar[], s), lambda a, x: case x[1] when '..' then a[:-2] when '.' then a else list_concat(a, x) end) as s from split),
+clean as (select f, {head('t')} || case when contains(p, '/.') then '/' || array_to_string(case when regexp_matches(p, '/\\.\\.?$') then list_append(s, '') else s end, '/') else p end || regexp_extract(t, '(?s)^.*?://[^/?#]*[^?#]*(.*)$', 1) as t from flat),
+links as (select {node('f')} as f, {node('t')} as t from (from clean union all select url, t || case when kept <> '' then '?' || kept else '' end from shorter)),
 edges as (select f, t from links where f <> t union select t, f from links where f <> t),
 reach(n, m) as (select f, f from edges union select e.t, reach.m from reach join edges e on e.f = reach.n),
 comp as (select n, min(m) as c from reach group by n),
 nodes as (select n, c, {parts('n')} from comp),
 node_hits as ({judged('nodes', 'n, c')}),
-votes as (select c, bool_or(hit.action = 'allow') as a, bool_or(hit.action = 'block') as b from node_hits group by c),
-said as (select n, case when a then 'allow' when b then 'block' end as said from comp join votes using (c)),
+votes as (select c, bool_or(hit.action = 'allow') as a from node_hits group by c),
+said as (select n, case when a then 'allow' else 'block' end as said from comp join votes using (c)),
 hits as ({judged('page', 'r')})
 select page_id, host, path, hit.rule as rule, coalesce(hit.action, said, 'allow') as verdict
 from page left join hits using (r) left join said on said.n = {node('url')}"""

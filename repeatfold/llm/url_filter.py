@@ -5,7 +5,13 @@ ones. A url without a rule takes the verdict of its aliases: urls joined by redi
 distributed connected components, and a component with an allowed member is allowed, else one with a blocked member is blocked, else
 the default holds.
 
-Nulls, empty texts and urls without ``://`` have empty host and path, fit no rule and have no aliases. Repeated rows are judged alike.
+Edges have three sources: canonical links and meta refreshes of the pages' HTML (every such tag; targets resolved against the page's url, with
+entities and dot segments; other schemes than those with ``://`` are no targets), tables of redirects, and the canonical form of each url:
+https, no ``www.`` or ``m.`` before the host, no index page, ``.html`` or slash at the end of the path, no tracking parameters, no fragment.
+
+Nodes are the urls themselves, so nothing depends on hashes. Nulls, empty texts and urls without ``://`` have empty host and path, fit no rule
+and have no aliases. Repeated rows are judged alike. Columns of the input named like the results are replaced, others never clash; an empty
+table gives no rows.
 """
 
 from __future__ import annotations
@@ -15,7 +21,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from repeatfold.llm.common import components
+from repeatfold.llm.common import components, cut, fresh
 
 #: A rule list is configuration; it is compiled into the plan. Longer lists are refused rather than broadcast unchecked.
 MAX_RULES = 2_000
@@ -47,44 +53,86 @@ def rule_of(host_: Column, path_: Column, rules: Sequence[tuple[str, str, str]])
     return F.lit(None).cast("struct<rule:string,action:string>") if out is None else out
 
 
-def link_edges(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """``(from_url, to_url)`` from each page's canonical link and meta refresh; relative targets are resolved against the page's url."""
-    url, html = F.col(url_col), F.col(html_col)
-    rows = pages.select(
-        url.alias("from_url"),
-        F.explode(F.array(F.regexp_extract(F.regexp_extract(html, CANONICAL, 0), HREF, 1), F.regexp_extract(F.regexp_extract(html, REFRESH, 0), TARGET, 1))).alias("t"),
-    ).where("from_url is not null and t <> ''")
-    root = F.regexp_extract("from_url", r"(?s)^(.*?://[^/?#]*)", 1)
-    folder = F.regexp_extract("from_url", r"(?s)^(.*?://[^/?#]*(?:/[^?#]*/|/)?)", 1)
-    to = (
-        F.when(F.col("t").contains("://"), F.col("t"))
-        .when(F.col("t").startswith("//"), F.concat(F.regexp_extract("from_url", r"(?s)^(.*?:)//", 1), F.col("t")))
-        .when(F.col("t").startswith("/"), F.concat(root, F.col("t")))
-        .otherwise(F.concat(folder, F.when(folder.endswith("/"), F.lit("")).otherwise(F.lit("/")), F.col("t")))
+SCHEME = r"^[A-Za-z][A-Za-z0-9+.\-]*:"
+FIRST_LABEL = r"^(?:www|m)\."
+PAGE_END = r"(?:/index)?(?:\.html?)?/*$"
+TRACKING = r"^(?:utm_[^=]*|ref|gclid|fbclid)(?:=|$)"
+
+
+def head(url: Column) -> Column:
+    """Scheme, ``://`` and host, as they stand."""
+    return F.regexp_extract(url, r"(?s)^(.*?://[^/?#]*)", 1)
+
+
+def without_dots(path_: Column) -> Column:
+    """A path from ``/`` on without ``.`` and ``..`` segments."""
+    parts = F.slice(F.split(path_, "/"), 2, 1 << 20)
+    start = F.array().cast("array<string>")
+    kept = F.aggregate(parts, start, lambda a, x: F.when(x == "..", F.slice(a, 1, F.greatest(F.size(a) - 1, F.lit(0)))).when(x == ".", a).otherwise(F.concat(a, F.array(x))))
+    ends = F.when(path_.rlike(r"/\.\.?$"), F.concat(kept, F.array(F.lit("")))).otherwise(kept)
+    return F.when(path_.contains("/."), F.concat(F.lit("/"), F.array_join(ends, "/"))).otherwise(path_)
+
+
+def resolved(target: Column, base: Column) -> Column:
+    """The url that ``target`` means on a page at ``base``; null for other schemes than those with ``://``."""
+    t = F.regexp_replace(target, "&(?:amp|#38|#[xX]26);", "&")
+    root, plain = head(base), F.regexp_extract(base, r"(?s)^([^?#]*)", 1)
+    folder = F.regexp_extract(base, r"(?s)^(.*?://[^/?#]*(?:/[^?#]*/|/)?)", 1)
+    full = (
+        F.when(t.rlike(SCHEME + "//"), t)
+        .when(t.rlike(SCHEME), F.lit(None))
+        .when(t.startswith("//"), F.concat(F.regexp_extract(base, r"(?s)^(.*?:)//", 1), t))
+        .when(t.startswith("/"), F.concat(root, t))
+        .when(t.startswith("?"), F.concat(plain, t))
+        .when(t.startswith("#"), base)
+        .otherwise(F.concat(folder, F.when(folder.endswith("/"), F.lit("")).otherwise(F.lit("/")), t))
     )
-    return rows.select("from_url", to.alias("to_url"))
+    rest = lambda u: F.regexp_extract(u, r"(?s)^.*?://[^/?#]*[^?#]*(.*)$", 1)
+    return F.concat(head(full), without_dots(F.regexp_extract(full, _URL, 2)), rest(full))
+
+
+def canonical(url: Column) -> Column:
+    """The canonical form of a url; null without ``://``."""
+    query = F.regexp_extract(url, r"(?s)^.*?://[^?#]*\?([^#]*)", 1)
+    kept = F.array_join(F.filter(F.split(query, "&"), lambda x: (x != "") & ~x.rlike(TRACKING)), "&")
+    short = F.concat(F.lit("https://"), F.regexp_replace(host(url), FIRST_LABEL, ""), F.regexp_replace(path(url), PAGE_END, ""))
+    return F.when(url.contains("://"), F.concat(short, F.when(kept != "", F.concat(F.lit("?"), kept)).otherwise("")))
+
+
+def link_edges(pages: DataFrame, url_col: str = "url", html_col: str | None = "html") -> DataFrame:
+    """``(from_url, to_url)`` from each page's canonical links and meta refreshes, if it has an ``html_col``, and from its url to the canonical form."""
+    url = F.col(url_col)
+    own = F.array(canonical(url))
+    if html_col is not None:
+        html = F.coalesce(html_col, F.lit(""))
+        tags = lambda tag, part: F.transform(F.regexp_extract_all(html, F.lit(tag), F.lit(0)), lambda x: F.regexp_extract(x, part, 1))
+        targets = F.filter(F.concat(tags(CANONICAL, HREF), tags(REFRESH, TARGET)), lambda t: t != "")
+        own = F.concat(own, F.transform(targets, lambda t: resolved(t, url)))
+    return pages.where(url.contains("://")).select(url.alias("from_url"), F.explode(own).alias("to_url")).where("to_url is not null")
 
 
 def node(url: Column) -> Column:
     """A url's node: without its fragment, A-Z of scheme and host lower-cased; null without ``://``."""
-    head = F.regexp_extract(url, r"(?s)^(.*?://[^/?#]*)", 1)
-    return F.when(head != "", F.concat(F.translate(head, _UPPER, _LOWER), F.regexp_extract(url, r"(?s)^.*?://[^/?#]*([^#]*)", 1)))
+    return F.when(head(url) != "", F.concat(F.translate(head(url), _UPPER, _LOWER), F.regexp_extract(url, r"(?s)^.*?://[^/?#]*([^#]*)", 1)))
 
 
 def judge(pages: DataFrame, rules: Sequence[tuple[str, str, str]], edges: DataFrame | None = None, url_col: str = "url", default: str = "allow") -> DataFrame:
     """``pages`` with ``host, path, rule, verdict`` (columns of these names are replaced). ``edges (from_url, to_url)``: redirects and canonical links."""
+    hit, at, said_ = fresh(pages, "_hit", "_node", "_said")
     base = pages.withColumns({"host": host(F.col(url_col)), "path": path(F.col(url_col))})
-    base = base.withColumn("_hit", rule_of(F.col("host"), F.col("path"), rules)).withColumn("rule", F.col("_hit.rule"))
-    plain = base.withColumn("verdict", F.coalesce("_hit.action", F.lit(default))).drop("_hit")
+    base = base.withColumn(hit, rule_of(F.col("host"), F.col("path"), rules)).withColumn("rule", F.col(f"{hit}.rule"))
     if edges is None:
-        return plain
-    links = edges.select(node(F.col("from_url")).alias("f"), node(F.col("to_url")).alias("t")).where("f <> t")
-    if links.isEmpty():
-        return plain
-    found = components(links.select(F.xxhash64("f").alias("a"), F.xxhash64("t").alias("b")))
-    names = links.select(F.explode(F.array("f", "t")).alias("n")).distinct()
-    judged = names.select(F.xxhash64("n").alias("node"), rule_of(host(F.col("n")), path(F.col("n")), rules)["action"].alias("action"))
-    votes = found.join(judged, "node").groupBy("component").agg(F.max(F.col("action") == "allow").alias("any_allow"), F.max(F.col("action") == "block").alias("any_block"))
-    said = found.join(votes, "component").select("node", F.when(F.col("any_allow"), "allow").when(F.col("any_block"), "block").alias("_said"))
-    out = base.withColumn("_node", F.xxhash64(node(F.col(url_col)))).join(said.withColumnRenamed("node", "_node"), "_node", "left")
-    return out.withColumn("verdict", F.coalesce("_hit.action", "_said", F.lit(default))).drop("_hit", "_said", "_node")
+        return base.withColumn("verdict", F.coalesce(f"{hit}.action", F.lit(default))).drop(hit)
+    said = alias_verdicts(edges, rules).withColumnsRenamed({"node": at, "said": said_})
+    out = base.withColumn(at, node(F.col(url_col))).join(said, at, "left")
+    return out.withColumn("verdict", F.coalesce(f"{hit}.action", said_, F.lit(default))).drop(hit, said_, at)
+
+
+def alias_verdicts(edges: DataFrame, rules: Sequence[tuple[str, str, str]]) -> DataFrame:
+    """``node, said``: the verdict of the component of each node that an edge joins to another one, null where no member has a rule."""
+    found = components(edges.select(node(F.col("from_url")).alias("a"), node(F.col("to_url")).alias("b")))
+    action = rule_of(host(F.col("node")), path(F.col("node")), rules)["action"]
+    votes = found.select("component", action.alias("action")).where("action is not null").groupBy("component").agg(F.max(F.col("action") == "allow").alias("any_allow"))
+    # a written table, so that the join with it has two shuffled sides and a giant component may be split
+    said = cut(votes.select("component", F.when(F.col("any_allow"), "allow").otherwise("block").alias("said")))
+    return found.join(said, "component").select("node", "said")
