@@ -93,7 +93,9 @@ def test_recall_at_the_threshold():
         assert np.mean([bool(a & b) for a, b in zip(*lists, strict=True)]) > 0.93
 
 
-def test_topk(vectors):
+@pytest.mark.parametrize("held", [16_384, 3])
+def test_topk(vectors, held, monkeypatch):
+    monkeypatch.setattr(topk, "QUERIES", held)
     rows = [tuple(r) for r in vectors.collect() if r[0] is not None and usable(r[1])]
     ints = [(i, [int(np.floor(1024 * x)) for x in v]) for i, v in rows]
     want = []
@@ -102,9 +104,19 @@ def test_topk(vectors):
             continue
         best = sorted((-sum(a * b for a, b in zip(x, y, strict=True)), i) for i, y in ints if i != q and len(y) == len(x))[:7]
         want += [(q, k + 1, i, -s) for k, (s, i) in enumerate(best)]
-    got = sorted(tuple(r) for r in topk.search(vectors, vectors.where("vec_id % 50 = 0"), k=7).collect())
+    got = sorted(tuple(r) for r in topk.search(vectors.withColumns({"ids": F.lit(1), "dim": F.lit(2), "task": F.lit(3)}), vectors.where("vec_id % 50 = 0"), k=7).collect())
     assert got == sorted(want)
-    assert topk.search(vectors, vectors.where("false")).count() == 0
+    assert topk.search(vectors, vectors.where("false")).count() == 0 and topk.search(vectors.where("false"), vectors).count() == 0
+
+
+def test_topk_of_odd_vectors(spark):
+    rows = [(1, [2.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 0.0]), (3, [0.0, 3.0]), (4, [1e6, 1e6]), (None, [9.0, 9.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [tuple(r) for r in topk.search(df, df.where("vec_id = 1"), k=2).orderBy("rank").collect()]
+    m = 2**20
+    assert got == [(1, 1, 4, int(1e6) * m), (1, 2, 3, 3 * m)]  # of the two vectors of id 1 the least one asks
+    with pytest.raises(Exception, match="may not fit 64 bits"):
+        topk.search(spark.createDataFrame([(1, [1e12]), (2, [1.0])], df.schema), df).collect()
 
 
 def test_bounds_hold_and_prune():
@@ -122,6 +134,16 @@ def test_bounds_hold_and_prune():
     for a in range(0, 500, 50):
         s.add(np.arange(a, a + 50), x[a : a + 50])
     assert s.exact < s.seen
+    # blocks of one far cluster each: most are dropped whole
+    far = np.concatenate([np.floor(1024 * (rng.normal(size=(64, 64)) + 20 * rng.normal(size=(1, 64)))) for _ in range(30)]).astype(np.int64)
+    s = topk.Searcher(np.arange(10), far[:10], 5)
+    for a in range(0, len(far), 64):
+        bounds = np.concatenate([topk.ranges(topk.statistics(far[a : a + 64].astype(float), c)) for c in topk.levels(64)])
+        if s.worth(bounds[None, :])[0]:
+            s.add(np.arange(a, a + 64), far[a : a + 64])
+    assert s.blocks_left < s.blocks / 2
+    want = [sorted((-int(x), i) for i, x in enumerate(far @ far[r]) if i != r)[:5] for r in range(10)]
+    assert [[(-int(b), int(w)) for b, w in zip(s.best[r], s.who[r], strict=True)] for r in range(10)] == want
 
 
 def test_components(spark):
