@@ -292,6 +292,53 @@ Unless required by applicable law, it is distributed as it is."""
     assert got == {1: (3, "MIT"), 2: (3, "Apache-2.0"), 3: (3, "MIT"), 4: (3, "Apache-2.0"), 5: (3, "MIT"), 6: (2, "Proprietary,MIT")}
 
 
+def test_more_licences_with_copyright_lines_and_lists(spark):
+    bsd = """Copyright (c) 2019-2021, Some Holder and Others
+
+Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+{}
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED."""
+    third = """
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+"""
+    gnu = """This {0} is free software; you can redistribute it and/or modify it under
+the terms of the GNU {1}General Public License as published by the Free Software
+Foundation; either version {2} of the License, or (at your option) any later
+version."""
+    mpl = """This Source Code Form is subject to the terms of the Mozilla Public
+License, v. 2.0. If a copy of the MPL was not distributed with this
+file, You can obtain one at https://mozilla.org/MPL/2.0/."""
+    isc = """Copyright 2001 X
+
+Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+
+THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH
+REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY
+AND FITNESS."""
+    rows = [(1, bsd.format("")), (2, bsd.format(third)), (3, gnu.format("program", "", "2")), (4, gnu.format("program", "", "3")), (5, gnu.format("library", "Lesser ", "2.1")), (6, mpl), (7, isc), (8, "Copyright 1999 Y"), (9, "copyright law of 1999")]
+    df = spark.createDataFrame(rows, "doc_id int, text string").withColumns({"_ids": F.lit(1), "_known": F.lit(2), "_hits": F.lit(3)})
+    out = license_scan.scan(df)
+    got = {r["doc_id"]: (r["sentence_ids"].split(",")[0], r["licenses"], r["_ids"], r["_known"], r["_hits"]) for r in out.collect()}
+    names = {1: "BSD-2-Clause", 2: "BSD-3-Clause", 3: "GPL-2.0-or-later", 4: "GPL-3.0-or-later", 5: "LGPL-2.1-or-later", 6: "MPL-2.0", 7: "ISC", 8: "", 9: ""}
+    assert {k: v[1] for k, v in got.items()} == names and all(v[2:] == (1, 2, 3) for v in got.values())
+    assert [got[k][0] for k in (1, 2, 7, 8, 9)] == ["copyright"] * 4 + [""]
+
+
 def test_raking_reaches_the_marginals():
     rng = random.Random(2)
     cells = [(s, lang, t, rng.randint(1, 1000)) for s in ("a", "b", "other") for lang in ("x", "y") for t in ("p", "q")]
