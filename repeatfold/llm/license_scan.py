@@ -49,7 +49,7 @@ SENTENCES = {
     "this library is free software": "lgpl_free",
     "you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation": "lgpl_terms",
     "either version 2 1 of the license or at your option any later version": "gnu21_later",
-    "this source code form is subject to the terms of the mozilla public license v 2 0": "mpl2_ref",
+    "this source code form is subject to the terms of the mozilla public license v": "mpl_ref",
     "if a copy of the mpl was not distributed with this file you can obtain one at https mozilla org mpl 2 0": "mpl2_copy",
     "this is free and unencumbered software released into the public domain": "unlicense",
     "to the extent possible under law the person who associated cc0 with this work has waived all copyright and related or neighboring rights to this work": "cc0_waiver",
@@ -71,7 +71,7 @@ VARIANTS = {
     "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation": "gpl_free",
     **{f"this work is licensed under {a} creative commons {name} international license": k for a in ("a", "the") for name, k in _CC.items()},
 }
-# Licences and the ordered sentences that make them.
+# Licences and the ordered sentences that make them; an empty one is a gap (a version cut off as a sentence of its own).
 RULES = [
     ("MIT", ("mit_grant", "mit_notice", "as_is")),
     ("MIT", ("mit_grant", "mit_notice")),
@@ -94,8 +94,8 @@ RULES = [
     ("GPL-3.0-or-later", ("gpl_free", "gpl_terms", "gnu3_later")),
     ("LGPL-2.1-or-later", ("lgpl_free", "lgpl_terms", "gnu21_later")),
     ("LGPL-3.0-or-later", ("lgpl_free", "lgpl_terms", "gnu3_later")),
-    ("MPL-2.0", ("mpl2_ref", "mpl2_copy")),
-    ("MPL-2.0", ("mpl2_ref",)),
+    ("MPL-2.0", ("mpl_ref", "", "mpl2_copy")),
+    ("MPL-any", ("mpl_ref",)),
     ("Unlicense", ("unlicense",)),
     ("CC0-1.0", ("cc0_waiver",)),
     ("Public-domain", ("public_domain",)),
