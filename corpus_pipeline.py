@@ -14,31 +14,43 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier rejects go."""
+    """Documents that the quality classifier rejects go.
+
+    Null and empty texts get the prior's score; repeated rows are judged alike; without labels every document stays; an empty table gives none.
+    """
     scores = quality.score_rows(docs, quality.train(docs, table(spark, sf_dir, "labels")))
     return scores.where("keep").select(*COLUMNS)
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the document with the smallest id stays; of repeated rows one. Rows without an id stay."""
-    found = ngram_join.similar_components(docs)
-    stay = found.where(F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))).select("doc_id").distinct()
-    kept = docs.alias("d").join(stay.alias("s"), F.col("d.doc_id").eqNullSafe(F.col("s.doc_id")), "left_semi")
-    return kept.withColumn("_text", F.xxhash64("text")).dropDuplicates(["doc_id", "_text"]).select(*COLUMNS)
+    """Of each group of near duplicates the document with the smallest id stays.
+
+    One without an id stays only if no other of its group has one. Texts that are null or have no words are in no group and stay; of rows repeated
+    with id and text one stays; an empty table gives none.
+    """
+    return ngram_join.representatives(docs).select(*COLUMNS)
 
 
 def strip_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages of 35 words or more that stand elsewhere too are cut out of the texts; every document stays, with what is left of it."""
+    """Passages of 35 words or more that stand elsewhere too are cut out of the texts; every document stays, with what is left of it.
+
+    A null text becomes an empty one, and what is left has one space between words; repeated rows are occurrences of each other; an empty table
+    gives none.
+    """
     return substring_dedup.dedup(docs).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents are sampled, scarce ones with repeats, at rates calibrated to the source, language and topic targets."""
+    """Documents are sampled, scarce ones with repeats, at rates calibrated to the source, language and topic targets.
+
+    Null sources and languages are ``other``; texts without words have rate 0 only where their whole cell has none; repeated rows share their
+    fate; an empty table gives none.
+    """
     return mixing.sample(mixing.calibrate(docs)).select(*COLUMNS)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents become sequences of power-of-two lengths."""
+    """Documents become sequences of power-of-two lengths; an empty text is one of length 1; repeated rows are packed each for itself."""
     return packing.as_sequences(packing.pack(docs, tokenizer_path("word_bpe_49k.json")))
 
 
