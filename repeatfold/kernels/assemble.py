@@ -21,17 +21,19 @@ class Step:
     edges: int = 0
     nodes_new: int = 0
     bucket_ops: int = 0
+    select_work: int = 0
 
 
 @dataclass
 class Folded:
-    """``residual`` (marks are MARK), ``factors`` (a, len) with 1-based positions, ``kinds``, and the steps."""
+    """``residual`` (marks are MARK), ``factors`` (a, len) with 1-based positions, ``kinds``, the steps, and the most cells of working arrays held."""
 
     n: int
     residual: list[int] = field(default_factory=list)
     factors: list[tuple[int, int]] = field(default_factory=list)
     kinds: list[int] = field(default_factory=list)
     steps: list[Step] = field(default_factory=list)
+    cells: int = 0
 
 
 def triple(codes: list[int], steps: list[Step], terminator: bool = False) -> Folded:

@@ -6,6 +6,7 @@ import heapq
 from collections import Counter
 
 from repeatfold.kernels.reach import steps_of
+from repeatfold.kernels.suffix import order_of
 
 
 def lz77(codes: list[int], sa: list[int], lcp: list[int]) -> list[tuple[int, int, int]]:
@@ -176,6 +177,37 @@ def longest_grammar(codes: list[int], sa: list[int], lcp: list[int]) -> tuple[di
     return rules, start
 
 
+def longest_grammar_bodies(codes: list[int], sa: list[int], lcp: list[int]) -> tuple[dict[int, list[int]], list[int]]:
+    """As ``longest_grammar`` with rule bodies searched too: until neither the start sequence nor a body has a string that stands disjointly elsewhere.
+
+    Start and bodies lie one after another with separators of their own, and the search goes over all of them, round by round.
+    """
+    rules, start = longest_grammar(codes, sa, lcp)
+    while True:
+        names = list(rules)
+        line, low = [], min(rules, default=-9) - 1
+        for k, part in enumerate([start, *(rules[x] for x in names)]):
+            line += [*part, -(1 << 40) - k]
+        dense = {c: k for k, c in enumerate(sorted(set(line)))}
+        more, left = longest_grammar([dense[c] for c in line], *order_of([dense[c] for c in line]))
+        if not more:
+            return rules, start
+        back = {k: c for c, k in dense.items()} | {-10 - k: low - k for k in range(len(more))}
+        fresh = {back[name]: [back[c] for c in body] for name, body in more.items()}
+        parts, part = [], []
+        for c in (back[c] for c in left):
+            if c <= -(1 << 40):
+                parts.append(part)
+                part = []
+            else:
+                part.append(c)
+        rules = dict(zip(names, parts[1:], strict=True)) | fresh
+        # a body that was replaced as a whole is another rule's: that one stands in for it
+        same = {x: body[0] for x, body in rules.items() if len(body) == 1}
+        rules = {x: [same.get(c, c) for c in body] for x, body in rules.items() if x not in same}
+        start = [same.get(c, c) for c in parts[0]]
+
+
 def expand(rules: dict[int, list[int]], start: list[int]) -> list[int]:
     """The only word of a grammar."""
     out, todo = [], list(reversed(start))

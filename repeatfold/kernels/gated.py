@@ -19,6 +19,7 @@ def run(codes: list[int], sa: list[int], lcp: list[int], alpha: float = 30, beta
     reach = list(range(n, 0, -1))
     steps: list[Step] = []
     todo = [(p, lo, hi) for p, lo, hi in maximal_repeats(codes, sa, lcp) if p >= 2]
+    cells = 2 * n + 3 * len(todo)
     todo.sort(key=lambda x: (-x[0], min(sa[x[1] : x[2] + 1])))
     while todo:
         refused = []
@@ -44,4 +45,6 @@ def run(codes: list[int], sa: list[int], lcp: list[int], alpha: float = 30, beta
                     q -= 1
                     room += 1
         todo = refused if rescan and changed else []
-    return triple(codes, steps, terminator)
+    out = triple(codes, steps, terminator)
+    out.cells = cells
+    return out

@@ -14,8 +14,13 @@ from repeatfold.kernels.assemble import Folded, Step, triple
 from repeatfold.kernels.typing import left_greedy, pick, pick_simple
 
 
-def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_len: int = 2, max_steps: int | None = None, mode: str = "greedy", order: str = "ends_first") -> list[Step]:
-    """``mode``: greedy, simple, or grammar (two disjoint copies are needed and every chosen copy goes, the first one too)."""
+def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_len: int = 2, max_steps: int | None = None, mode: str = "greedy", order: str = "ends_first", meter: dict | None = None) -> list[Step]:
+    """``mode``: greedy, simple, or grammar (two disjoint copies are needed and every chosen copy goes, the first one too).
+
+    ``meter`` gets ``cells``, the most entries held at once; a step's ``select_work`` is what was touched since the one before.
+    """
+    meter = {} if meter is None else meter
+    meter["cells"], work, waiting = 0, 0, 0
     top = max(lcp, default=0)
     if top < min_len or n < 2:
         return []
@@ -34,6 +39,9 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
         w = min(reach[p], most[rank[p]])
         if w >= min_len:
             wakes.setdefault(w, []).append(p)
+            waiting += 1
+    joined = sum(map(len, unions.values()))
+    meter["cells"] = 6 * n + waiting + joined
     again: dict[int, list[int]] = {}  # grammar: classes whose copies are apart at that length only
     root = list(range(n))
     awake: list[set[int] | None] = [None] * n
@@ -47,6 +55,8 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
     steps: list[Step] = []
     for length in range(top, min_len - 1, -1):
         touched = set()
+        work += len(unions.get(length, ())) + len(wakes.get(length, ()))
+        waiting -= len(wakes.get(length, ()))
         for r in unions.pop(length, ()):
             a, b = find(r - 1), find(r)
             if a != b:
@@ -81,6 +91,7 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
             if group is None or len(group) < 2:
                 continue
             live = {p for p in group if reach[p] >= length}
+            work += len(group)
             awake[a] = live
             if len(live) > 1:
                 heap.append((min(live) if tie == "leftmost" else a, a))
@@ -91,6 +102,7 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
                 return steps
             key, a = heapq.heappop(heap)
             live = {p for p in awake[a] if reach[p] >= length}
+            work += len(awake[a]) + 1
             awake[a] = live
             if len(live) < 2:
                 continue
@@ -114,7 +126,8 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
                 starts = sorted(live)
                 picks = pick(starts, length)
                 first = starts[0]
-            steps.append(Step(len(steps) + 1, length, first, starts, picks, s=sum(k > 1 for _, k in picks)))
+            steps.append(Step(len(steps) + 1, length, first, starts, picks, s=sum(k > 1 for _, k in picks), select_work=work))
+            work = 2 * length * len(picks)
             for i, _ in picks:
                 for p in range(i, i + length):
                     reach[p] = 0
@@ -124,12 +137,15 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
                         reach[p] = room
                         if room >= min_len and most[rank[p]] > room:
                             wakes.setdefault(room, []).append(p)
+                            waiting += 1
                         elif room >= min_len:
                             # sleeps or is awake for its common prefix, which the reach still allows
                             if most[rank[p]] == room:
                                 wakes.setdefault(room, []).append(p)
+                                waiting += 1
                     p -= 1
                     room += 1
+            meter["cells"] = max(meter["cells"], 6 * n + waiting + joined)
             awake[a] = {p for p in awake[a] if reach[p] >= length}
             if grammar and len(awake[a]) > 1:
                 heapq.heappush(heap, (min(awake[a]) if tie == "leftmost" else a, a))
@@ -137,4 +153,7 @@ def steps_of(n: int, sa: list[int], lcp: list[int], tie: str = "leftmost", min_l
 
 
 def run(codes: list[int], sa: list[int], lcp: list[int], terminator: bool = False, **options) -> Folded:
-    return triple(codes, steps_of(len(codes), sa, lcp, **options), terminator)
+    meter: dict[str, int] = {}
+    out = triple(codes, steps_of(len(codes), sa, lcp, meter=meter, **options), terminator)
+    out.cells = meter["cells"]
+    return out

@@ -6,6 +6,9 @@ followed by dead cells. Inner nodes below the root's children never spell a mark
 
 from __future__ import annotations
 
+import heapq
+from collections import OrderedDict
+
 from repeatfold.kernels.assemble import END, Folded, Step, triple
 from repeatfold.kernels.typing import pick, pick_simple
 
@@ -22,7 +25,8 @@ class Tree:
         self.kids: list[dict[int, int] | None] = [{}]
         self.link, self.at, self.leaf_id = [ROOT], [0], [-1]
         self.leaf = [-1] * (n + 1)
-        self.buckets: dict[int, dict[int, None]] = {}
+        self.buckets: dict[int, OrderedDict[int, None]] = {}
+        self.created: list[tuple[int, int]] = []
         self.edges = self.made = self.ops = 0
         self.waiting: list[int] = []
         sa, lcp = [n, *sa], [0, 0, *lcp[1:]]
@@ -47,7 +51,7 @@ class Tree:
         inner = [v for v in self._preorder() if self.kids[v] is not None and v != ROOT]
         for v in inner:
             if self.depth[v] >= 2:
-                self.buckets.setdefault(self.depth[v], {})[v] = None
+                self.buckets.setdefault(self.depth[v], OrderedDict())[v] = None
         for v in sorted(inner, key=self.depth.__getitem__):
             self.link[v] = self._seek(ROOT if self.parent[v] == ROOT else self.link[self.parent[v]], self.at[v] + 1, self.depth[v] - 1)
         self.edges = self.ops = 0
@@ -145,7 +149,8 @@ class Tree:
                     self._hang(here, u, first)
                     self._hang(c, here, self._inner_symbol(c, j))
                     if j >= 2:
-                        self.buckets.setdefault(j, {})[here] = None
+                        self.buckets.setdefault(j, OrderedDict())[here] = None
+                        self.created.append((j, here))
                         self.ops += 1
                     self.made += 1
                     if fresh >= 0:
@@ -181,23 +186,78 @@ class Tree:
     label: list[int]
 
 
+class Front:
+    """Nodes of the greatest depth in the order of a tie rule, chosen without looking through all of them.
+
+    There all children are leaves and no node gets a leaf that was not below it before, so a node's least start only moves to the right: a heap
+    holds each node once, and what it is sorted by is renewed from the node's own sorted starts when the node comes to the top.
+    """
+
+    def __init__(self, tree: Tree, tie: str, rank: list[int]) -> None:
+        self.tree, self.tie, self.rank = tree, tie, rank
+        self.depth, self.heap = 0, []
+        self.left: dict[int, list[int]] = {}
+        self.work = 0
+
+    def _push(self, v: int) -> None:
+        self.work += 1
+        if self.tie == "lex":
+            heapq.heappush(self.heap, (self.rank[self.tree.at[v]], v))
+            return
+        starts = sorted(self.tree.starts(v), reverse=True)
+        self.work += len(starts)
+        self.left[v] = starts
+        heapq.heappush(self.heap, (starts[-1], v))
+
+    def choose(self, depth: int) -> int:
+        tree, nodes = self.tree, self.tree.buckets[depth]
+        if self.tie == "bucket":
+            self.work += 1
+            tree.created.clear()
+            return next(iter(nodes))
+        if depth != self.depth:
+            self.depth, self.heap, self.left = depth, [], {}
+            for v in nodes:
+                self._push(v)
+        else:
+            for j, v in tree.created:
+                if j == depth and v in nodes:
+                    self._push(v)
+        tree.created.clear()
+        while True:
+            key, v = self.heap[0]
+            self.work += 1
+            if v not in nodes:
+                heapq.heappop(self.heap)
+                continue
+            if self.tie == "lex":
+                return v
+            starts = self.left[v]
+            while tree.leaf[starts[-1]] < 0 or tree.parent[tree.leaf[starts[-1]]] != v:
+                starts.pop()
+                self.work += 1
+            if starts[-1] == key:
+                return v
+            heapq.heapreplace(self.heap, (starts[-1], v))
+
+
 def run(codes: list[int], sa: list[int], lcp: list[int], tie: str = "leftmost", min_len: int = 2, max_steps: int | None = None, mode: str = "greedy", order: str = "ends_first", terminator: bool = False, check=None) -> Folded:
     """``tie``: leftmost, lex, or bucket (first in the list of the greatest depth). ``check(tree, alive)`` is called after each step."""
     tree = Tree(codes, sa, lcp)
     tree.label = [*codes, END]
     steps, alive = [], [True] * len(codes)
     length = max(tree.buckets, default=0)
+    rank = [0] * (len(codes) + 1)
+    if tie == "lex":
+        for r, p in enumerate(sa):
+            rank[p] = r
+    front, held = Front(tree, tie, rank), 0
     while max_steps is None or len(steps) < max_steps:
         length = tree.deepest(length)
         if length < max(2, min_len):
             break
-        nodes = tree.buckets[length]
-        if tie == "bucket":
-            v = next(iter(nodes))
-        elif tie == "lex":
-            v = min(nodes, key=lambda u: codes[tree.at[u] : tree.at[u] + length])
-        else:
-            v = min(nodes, key=lambda u: min(tree.starts(u)))
+        front.work = 0
+        v = front.choose(length)
         tree.edges = tree.made = tree.ops = 0
         starts = tree.starts(v)
         if mode == "greedy":
@@ -236,11 +296,14 @@ def run(codes: list[int], sa: list[int], lcp: list[int], tie: str = "leftmost",
             for leaf in leaves:
                 tree._hang(leaf, top, _after(tree, leaf, length))
         tree.buckets[length].pop(v, None)
-        step.edges, step.nodes_new, step.bucket_ops = tree.edges, tree.made, tree.ops + 1
+        step.edges, step.nodes_new, step.bucket_ops, step.select_work = tree.edges, tree.made, tree.ops + 1, front.work
+        held = max(held, len(front.heap))
         steps.append(step)
         if check:
             check(tree, alive)
-    return triple(codes, steps, terminator)
+    out = triple(codes, steps, terminator)
+    out.cells = 8 * len(tree.parent) + 4 * len(codes) + 2 * held
+    return out
 
 
 def _after(tree: Tree, leaf: int, length: int) -> int:

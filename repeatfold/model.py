@@ -6,7 +6,7 @@ FACTORS = "array<struct<a:bigint,len:int>>"
 FOLDED = f"n bigint, residual array<int>, factors {FACTORS}, kinds array<int>, steps int"
 STEP_LOG = (
     "k int, len int, first bigint, d int, q int, n1 int, n2 int, n3 int, n4 int, sort_work double, edges bigint, nodes_new bigint, "
-    "bucket_ops bigint, s int, accepted boolean, picks array<bigint>, pick_kinds array<int>"
+    "bucket_ops bigint, select_work bigint, s int, accepted boolean, picks array<bigint>, pick_kinds array<int>"
 )
 SUFFIXES = "rank bigint, pos bigint, lcp int"
 INTERVALS = "p int, lo bigint, hi bigint, maximal boolean"

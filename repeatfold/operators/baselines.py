@@ -60,9 +60,9 @@ def grammar_pairs(df: DataFrame, id_cols: Sequence[str], text_col: str = "text")
     return _grammar(df, id_cols, text_col, lambda codes, sa, lcp: baselines.pair_grammar(codes), False)
 
 
-def grammar_longest(df: DataFrame, id_cols: Sequence[str], text_col: str = "text") -> DataFrame:
-    """``rules, start``: the longest string with two disjoint copies first."""
-    return _grammar(df, id_cols, text_col, baselines.longest_grammar, True)
+def grammar_longest(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", bodies: bool = False) -> DataFrame:
+    """``rules, start``: the longest string with two disjoint copies first; with ``bodies`` rule bodies are searched too."""
+    return _grammar(df, id_cols, text_col, baselines.longest_grammar_bodies if bodies else baselines.longest_grammar, True)
 
 
 def grammar_size(g: DataFrame) -> DataFrame:

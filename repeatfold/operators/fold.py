@@ -18,7 +18,7 @@ from repeatfold.operators.units import map_units
 ENGINES = ("reach", "tree", "brute")
 
 
-def _runner(engine: str, options: dict):
+def runner(engine: str, options: dict):
     if engine == "brute":
         return lambda codes, sa, lcp: brute.run(codes, **options)
     if engine == "tree":
@@ -40,11 +40,11 @@ def step_row(s: Step) -> tuple:
     d, kinds = len(s.starts), [k for _, k in s.picks]
     n = [kinds.count(k) if s.accepted else 0 for k in (1, 2, 3)]
     q = sum(n)
-    return (s.k, s.len, s.first + 1, d, q, *n, d - 1 - q, d * math.log2(d), s.edges, s.nodes_new, s.bucket_ops, s.s, s.accepted, [p + 1 for p, _ in s.picks], kinds)
+    return (s.k, s.len, s.first + 1, d, q, *n, d - 1 - q, d * math.log2(d), s.edges, s.nodes_new, s.bucket_ops, s.select_work, s.s, s.accepted, [p + 1 for p, _ in s.picks], kinds)
 
 
 def _apply(df: DataFrame, id_cols: Sequence[str], col: str, engine: str, log: bool, options: dict) -> DataFrame:
-    run = _runner(engine, options)
+    run = runner(engine, options)
     if log:
         return map_units(df, id_cols, col, STEP_LOG, lambda *u: map(step_row, run(*u).steps))
     return map_units(df, id_cols, col, FOLDED, lambda *u: [triple_row(run(*u))], null_row=True)

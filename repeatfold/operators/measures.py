@@ -80,7 +80,7 @@ def step_stats(log: DataFrame, id_cols: Sequence[str]) -> DataFrame:
     """Per unit: steps, whether lengths ever grow, and the charges that the bounds speak of."""
     s = log.groupBy(*id_cols).agg(
         F.count("*").alias("steps"), F.array_sort(F.collect_list(F.struct("k", "len"))).alias("lens"), F.sum("d").cast("long").alias("sum_d"), F.sum("sort_work").alias("sort_work"),
-        F.sum("edges").alias("edges"), F.sum("nodes_new").alias("nodes_new"), F.sum("bucket_ops").alias("bucket_ops"), F.sum(F.col("q") * (F.col("len") - 1)).cast("long").alias("saved"),
+        F.sum("edges").alias("edges"), F.sum("nodes_new").alias("nodes_new"), F.sum("bucket_ops").alias("bucket_ops"), F.sum("select_work").alias("select_work"), F.sum(F.col("q") * (F.col("len") - 1)).cast("long").alias("saved"),
         F.max(F.when((F.col("q") < 1) & F.col("accepted"), 1).otherwise(0)).cast("long").alias("idle_steps"), F.sum(F.col("q") * F.col("len")).cast("long").alias("taken"),
     )
     grow = F.exists(F.sequence(F.lit(1), F.greatest(F.size("lens") - 1, F.lit(1))), lambda k: F.get(F.col("lens"), k)["len"] > F.get(F.col("lens"), k - 1)["len"])
@@ -120,3 +120,61 @@ def slope(points: Sequence[tuple[float, float]]) -> float:
     x, y = [math.log(p) for p, _ in points], [math.log(max(t, 1e-9)) for _, t in points]
     mx, my = sum(x) / len(x), sum(y) / len(y)
     return sum((a - mx) * (b - my) for a, b in zip(x, y, strict=True)) / sum((a - mx) ** 2 for a in x)
+
+
+def growth(rows: DataFrame, keys: Sequence[str], n: str, value: str) -> DataFrame:
+    """``keys, slope``: least-squares slope of log ``value`` on log ``n``."""
+    x, y = F.log(F.col(n).cast("double")), F.log(F.greatest(F.col(value).cast("double"), F.lit(1e-9)))
+    return rows.groupBy(*keys).agg(F.regr_slope(y, x).alias("slope"))
+
+
+def kernel_growth(units: DataFrame, id_cols: Sequence[str], engine: str, text_col: str = "text", **options) -> DataFrame:
+    """``ids, n, work, cells`` of each unit's fold: what the steps touched, and the most cells of working arrays held."""
+    from repeatfold.operators.fold import runner
+    from repeatfold.operators.units import map_units
+
+    run = runner(engine, options)
+
+    def work(codes, sa, lcp):
+        f = run(codes, sa, lcp)
+        yield len(codes), len(codes) + sum(len(s.starts) + s.edges + s.nodes_new + s.bucket_ops + s.select_work for s in f.steps), f.cells
+
+    return map_units(units, id_cols, text_col, "n bigint, work bigint, cells bigint", work)
+
+
+def method_bits(streams: DataFrame, keys: Sequence[str], code: str = "entropy") -> DataFrame:
+    """``keys, bits``: all symbols of a method's output under one code for each of its streams (``keys, stream, x``), streams added up."""
+    h = histogram_bits(streams, [*keys, "stream"], "x", code)
+    return h.groupBy(*keys).agg(F.sum(F.col("n") * F.col("bits")).alias("bits"))
+
+
+def _stream(df: DataFrame, keys: Sequence[str], name: str, symbols: Column) -> DataFrame:
+    return df.select(*keys, F.lit(name).alias("stream"), F.explode(F.transform(symbols, lambda x: x.cast("string"))).alias("x"))
+
+
+def fold_streams(folded: DataFrame, keys: Sequence[str]) -> DataFrame:
+    """Residual, kinds, pointers and lengths of triples."""
+    f = F.col("factors")
+    parts = {"residual": F.col("residual"), "kinds": F.transform("kinds", lambda k: F.least(k, F.lit(3))), "pointers": f["a"], "lengths": f["len"]}
+    return _union([_stream(folded, keys, name, symbols) for name, symbols in parts.items()])
+
+
+def lz77_streams(factors: DataFrame, keys: Sequence[str]) -> DataFrame:
+    """Whether a factor is a literal, literals, distances and lengths of factor rows."""
+    flags = factors.select(*keys, F.lit("flags").alias("stream"), F.col("src").isNull().cast("string").alias("x"))
+    literals = factors.where("src is null").select(*keys, F.lit("literals").alias("stream"), F.col("literal").cast("string").alias("x"))
+    copies = factors.where("src is not null")
+    return _union([flags, literals, *(copies.select(*keys, F.lit(n).alias("stream"), c.cast("string").alias("x")) for n, c in (("distances", F.col("pos") - F.col("src")), ("lengths", F.col("len"))))])
+
+
+def grammar_streams(grammar: DataFrame, keys: Sequence[str]) -> DataFrame:
+    """Start sequences and rule bodies, each body with its length."""
+    bodies = F.map_values("rules")
+    return _union([_stream(grammar, keys, "symbols", F.concat("start", F.flatten(bodies))), _stream(grammar, keys, "lengths", F.transform(bodies, F.size))])
+
+
+def _union(frames: Sequence[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.union(f)
+    return out

@@ -11,6 +11,7 @@ from repeatfold.kernels import suffix
 from repeatfold.kernels.tree import ROOT, Tree
 from repeatfold.model import INTERVALS, REPEATS, SUFFIXES, TREE_NODES
 from repeatfold.operators.units import map_units
+from repeatfold.plans import frames
 
 
 def occurrences(df: DataFrame, pattern, text_col: str = "text") -> DataFrame:
@@ -36,8 +37,18 @@ def repeats_at(df: DataFrame, length: int, id_cols: Sequence[str], text_col: str
     return map_units(df, id_cols, text_col, REPEATS, work)
 
 
-def longest_repeats(df: DataFrame, id_cols: Sequence[str], text_col: str = "text") -> DataFrame:
-    """Longest repeats of each unit: ``len, first, n_occ``, one row for each of them; none for a unit without a repeat."""
+def longest_repeats(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", engine: str = "lcp") -> DataFrame:
+    """Longest repeats of each unit: ``len, first, n_occ``, one row for each of them; none for a unit without a repeat.
+
+    ``engine``: lcp (runs of the suffix order), bisect (halving the length, since a prefix of a repeat repeats) or group (the same as relations
+    of substrings, for short texts).
+    """
+    if engine == "group":
+        return frames.longest_by_groups(df, id_cols, text_col)
+    if engine == "bisect":
+        return map_units(df, id_cols, text_col, REPEATS, lambda codes, sa, lcp: _bisected(codes), need_order=False)
+    if engine != "lcp":
+        raise ValueError(f"no engine {engine}")
 
     def work(codes, sa, lcp):
         top = max(lcp, default=0)
@@ -53,6 +64,20 @@ def longest_repeats(df: DataFrame, id_cols: Sequence[str], text_col: str = "text
     return map_units(df, id_cols, text_col, REPEATS, work)
 
 
+def _bisected(codes: list[int]) -> list[tuple[int, int, int]]:
+    def classes(length: int) -> dict[tuple[int, ...], list[int]]:
+        out: dict[tuple[int, ...], list[int]] = {}
+        for p in range(len(codes) - length + 1):
+            out.setdefault(tuple(codes[p : p + length]), []).append(p)
+        return {x: s for x, s in out.items() if len(s) > 1}
+
+    low, high = 0, len(codes)
+    while high - low > 1:
+        mid = (low + high) // 2
+        low, high = (mid, high) if classes(mid) else (low, mid)
+    return [(low, s[0] + 1, len(s)) for s in classes(low).values()] if low else []
+
+
 def maximal_repeats(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", min_len: int = 1) -> DataFrame:
     """Left- and right-diverse repeats: ``len, first, n_occ``."""
     work = lambda codes, sa, lcp: ((p, min(sa[lo : hi + 1]) + 1, hi - lo + 1) for p, lo, hi in suffix.maximal_repeats(codes, sa, lcp) if p >= min_len)

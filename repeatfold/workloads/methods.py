@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 
 from repeatfold.functions.columns import gate as gate_column
 from repeatfold.functions.columns import unfold_text
-from repeatfold.operators import baselines, fold, measures, repeats
+from repeatfold.kernels.baselines import longest_grammar_bodies, pair_grammar
+from repeatfold.operators import baselines, checks, fold, measures, repeats
 from repeatfold.operators.units import map_units
 from repeatfold.plans import frames, planner
 from repeatfold.plans.lineage import cut
@@ -152,15 +153,35 @@ def longest_repeat_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r.groupBy("item_id", F.col("len").cast("long").alias("lr_len")).agg(F.count("*").alias("n_lr"))
 
 
+_LONGEST = f"with {_lr_sql('benchmark', 'item_id')} select item_id, l::bigint as lr_len, count(*)::bigint as n_lr from lr group by item_id, l"
+
+
+@query("longest_repeat_bisect", _LONGEST)
+def longest_repeat_bisect(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = repeats.longest_repeats(load_table(spark, sf_dir, "benchmark"), ["item_id"], engine="bisect")
+    return r.groupBy("item_id", F.col("len").cast("long").alias("lr_len")).agg(F.count("*").alias("n_lr"))
+
+
+@query("longest_repeat_group", _LONGEST)
+def longest_repeat_group(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = repeats.longest_repeats(load_table(spark, sf_dir, "benchmark"), ["item_id"], engine="group")
+    return r.groupBy("item_id", F.col("len").cast("long").alias("lr_len")).agg(F.count("*").alias("n_lr"))
+
+
 @query("longest_repeat_turns", f"with u as (select conv_id, turn, text from conversations where role = 'user' and length(text) <= 200), {_lr_sql('u', 'conv_id, turn')} select conv_id, turn, l::bigint as lr_len from m")
 def longest_repeat_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = load_table(spark, sf_dir, "conversations").where((F.col("role") == "user") & (F.length("text") <= 200))
     return repeats.longest_repeats(turns, ["conv_id", "turn"]).groupBy("conv_id", "turn").agg(F.max("len").cast("long").alias("lr_len"))
 
 
-@query("longest_repeat_all_turns")
+_TURNS = "u as (select conv_id, turn, text from conversations where role = 'user' and text <> '')"
+
+
+@query("longest_repeat_all_turns", f"""with {_TURNS}, o as (select conv_id, turn, text, pos, lag(pos) over (partition by conv_id, turn order by substr(text, pos)) as before from (select *, unnest(range(1, length(text) + 1)) as pos from u)),
+k as (select conv_id, turn, max(n) as n from (select conv_id, turn, text, pos, before, unnest(range(1, least(length(text) - pos, length(text) - before) + 2)) as n from o where before is not null)
+  where substr(text, pos, n) = substr(text, before, n) group by conv_id, turn) select conv_id, turn, n::bigint as lr_len from k""")
 def longest_repeat_all_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every user turn. ``longest_repeat_turns`` compares the turns of at most 200 symbols with SQL, which lists all substrings."""
+    """Every user turn, against neighbours in suffix order. ``longest_repeat_turns`` compares the turns of at most 200 symbols with SQL that lists all substrings."""
     turns = load_table(spark, sf_dir, "conversations").where(F.col("role") == "user")
     return repeats.longest_repeats(turns, ["conv_id", "turn"]).groupBy("conv_id", "turn").agg(F.max("len").cast("long").alias("lr_len"))
 
@@ -191,17 +212,30 @@ def lcp_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     return frames.common_prefixes(frames.suffix_order(items, ["item_id"]), items, ["item_id"]).select("item_id", "rank", "lcp")
 
 
-@query("maximal_repeats_benchmark", """
+_MAXIMAL = """
 with p as (select item_id, text, unnest(range(1, length(text) + 1)) as pos from benchmark),
 s as (select item_id, substr(text, pos, l) as x, case when pos > 1 then substr(text, pos - 1, 1) else '<' end as a, case when pos + l <= length(text) then substr(text, pos + l, 1) else '>' end as b
   from (select item_id, text, pos, unnest(range(1, length(text) - pos + 2)) as l from p))
-select item_id, x as repeat, count(*)::bigint as n_occ from s group by item_id, x having count(*) > 1 and count(distinct a) > 1 and count(distinct b) > 1""")
+select item_id, x as repeat, count(*)::bigint as n_occ from s group by item_id, x having count(*) > 1 and count(distinct a) > 1 and count(distinct b) > 1"""
+
+
+@query("maximal_repeats_benchmark", _MAXIMAL)
 def maximal_repeats_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = load_table(spark, sf_dir, "benchmark")
     r = repeats.maximal_repeats(items, ["item_id"]).join(items, "item_id")
     return r.select("item_id", F.substring("text", F.col("first").cast("int"), F.col("len")).alias("repeat"), "n_occ")
 
 
+@query("maximal_repeats_frames", _MAXIMAL)
+def maximal_repeats_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by relations of ranks."""
+    items = load_table(spark, sf_dir, "benchmark")
+    order = cut(frames.common_prefixes(frames.suffix_order(items, ["item_id"]), items, ["item_id"]))
+    first = order.select("item_id", F.col("rank").alias("lo"), "pos")
+    found = frames.maximal_groups(order, items, ["item_id"]).join(first, ["item_id", "lo"]).join(items, "item_id")
+    return found.select("item_id", F.substring("text", F.col("pos").cast("int"), F.col("p")).alias("repeat"), (F.col("hi") - F.col("lo") + 1).alias("n_occ"))
+
+
 @query("p_intervals_benchmark", f"""with {_LCP}, r as (select item_id, p, rank, lcp, sum((lcp < p)::int) over (partition by item_id, p order by rank) as run from l, (values (2), (3), (5)) v(p))
 select item_id, p::int as p, min(rank) as lo, max(rank) as hi from r group by item_id, p, run having count(*) > 1 and min(case when lcp >= p then lcp end) = p""")
 def p_intervals_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -266,6 +300,13 @@ def first_steps_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     return log.select("item_id", F.col("k").cast("long").alias("step"), F.col("len").cast("long").alias("len"), "first", F.array_join(F.transform("picks", lambda x: x.cast("string")), ",").alias("picks"))
 
 
+@query("first_steps_frames", _steps_sql(3))
+def first_steps_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by relations of positions."""
+    steps = frames.first_steps(load_table(spark, sf_dir, "benchmark"), ["item_id"], 3)
+    return steps.withColumn("picks", F.array_join(F.transform("picks", lambda x: x.cast("string")), ","))
+
+
 def _sized(units: DataFrame, ids: list[str], col: str = "text") -> DataFrame:
     return fold.sizes(fold.fold(units, ids, col))
 
@@ -299,10 +340,13 @@ def fold_part_names(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _sized(_part_units(spark, sf_dir), ["p_brand"])
 
 
+def _customer_units(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load_table(spark, sf_dir, "customer").groupBy("c_mktsegment").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("c_custkey", "c_name"))), lambda x: x["c_name"]), "|").alias("text"))
+
+
 @query("fold_customer_names")
 def fold_customer_names(spark: SparkSession, sf_dir: str) -> DataFrame:
-    names = load_table(spark, sf_dir, "customer").groupBy("c_mktsegment").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("c_custkey", "c_name"))), lambda x: x["c_name"]), "|").alias("text"))
-    return _sized(names, ["c_mktsegment"])
+    return _sized(_customer_units(spark, sf_dir), ["c_mktsegment"])
 
 
 @query("fold_sign_strings")
@@ -353,20 +397,70 @@ def gzip_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def prefixes(spark: SparkSession, sf_dir: str, powers: range) -> DataFrame:
-    """``n, text``: prefixes of the documents' texts joined in id order. Only as many documents as the longest prefix needs are gathered."""
-    docs = load_table(spark, sf_dir, "documents").select("doc_id", "text", F.length("text").alias("len"))
-    need = 1 << (max(powers))
-    first = docs.orderBy("doc_id").limit(1 + need // 16).withColumn("upto", F.sum("len").over(Window.orderBy("doc_id").rowsBetween(Window.unboundedPreceding, -1)))
+    """``n, text``: prefixes of the documents' texts joined in id order, with the lengths that they have. Only as many documents are gathered as the longest one needs."""
+    docs = load_table(spark, sf_dir, "documents").select("doc_id", "text", F.length("text").alias("len")).where("len > 0")
+    need, total = 1 << max(powers), docs.count()
+    k = 1 + need // 64
+    while k < total and (docs.orderBy("doc_id").limit(k).agg(F.sum("len")).first()[0] or 0) < need:
+        k *= 4
+    first = docs.orderBy("doc_id").limit(k).withColumn("upto", F.sum("len").over(Window.orderBy("doc_id").rowsBetween(Window.unboundedPreceding, -1)))
     joined = first.where(F.coalesce("upto", F.lit(0)) < need).agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("doc_id", "text"))), lambda x: x["text"]), "").alias("all"))
-    return joined.select(F.explode(F.array(*[F.lit(1 << p) for p in powers])).alias("n"), "all").select(F.col("n").cast("long").alias("n"), F.substring("all", F.lit(1), F.col("n").cast("int")).alias("text"))
+    text = joined.select(F.explode(F.array(*[F.lit(1 << p) for p in powers])).alias("n"), "all").select(F.substring("all", F.lit(1), F.col("n").cast("int")).alias("text"))
+    return text.select(F.length("text").cast("long").alias("n"), "text").distinct()
+
+
+def growing_units(spark: SparkSession, sf_dir: str, powers: range) -> DataFrame:
+    """``family, n, codes``: prefixes of documents, random texts of two letters, pairs that stand twice each, and runs of one letter."""
+    docs = prefixes(spark, sf_dir, powers).select(F.lit("documents").alias("family"), "n", F.transform(F.split("text", ""), lambda c: F.ascii(c).cast("int")).alias("codes"))
+    sizes = spark.createDataFrame([(1 << p,) for p in powers], "n long").withColumn("at", F.sequence(F.lit(0).cast("long"), F.col("n") - 1))
+    half = F.col("n") / 6
+    pair = lambda i: F.when(i % 3 < 2, F.floor(i / 3) % F.floor(half) * 2 + i % 3).otherwise(1_000_000 + i)
+    made = {"random": lambda i: F.pmod(F.xxhash64(i, F.lit(42)), F.lit(2)), "pairs": pair, "unary": lambda i: F.lit(0)}
+    for family, code in made.items():
+        docs = docs.union(sizes.select(F.lit(family), "n", F.transform("at", code).cast("array<int>")))
+    return docs.repartition(8 * len(powers), "family", "n")
+
+
+#: Engines with the options of each, and the greatest power of two that its units have; what is quadratic stops early.
+GROWING = {
+    "reach": ("reach", {}, 17), "simple": ("reach", {"mode": "simple", "order": "ends_first"}, 17), "tree": ("tree", {}, 17), "tree_lex": ("tree", {"tie": "lex"}, 17),
+    "tree_bucket": ("tree", {"tie": "bucket"}, 17), "gated": ("gated", {}, 17),
+}
 
 
 @query("bench_scaling")
 def bench_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Work counters of each engine over prefixes of 2^10 to 2^17 symbols; ``brute`` searches anew in every step and stops at 2^11."""
     out = None
-    for engine, powers in (("reach", range(10, 16)), ("tree", range(10, 15)), ("brute", range(8, 11))):
-        log = fold.fold(prefixes(spark, sf_dir, powers), ["n"], engine=engine, log=True)
-        one = measures.step_stats(log, ["n"]).select(F.lit(engine).alias("engine"), "n", "steps", "sum_d", F.round("sort_work", 3).alias("sort_work"), "edges", "nodes_new", "bucket_ops")
+    for name, (engine, options, top) in (GROWING | {"brute": ("brute", {}, 11)}).items():
+        units = prefixes(spark, sf_dir, range(10 if top > 11 else 8, top + 1)).repartition(8, "n")
+        one = measures.kernel_growth(units, [], engine, **options).select(F.lit(name).alias("engine"), "n", "work", "cells")
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("growth_violations", "select * from (values ('reach', 0::bigint), ('simple', 0), ('tree', 0), ('tree_lex', 0), ('tree_bucket', 0), ('gated', 0)) t(engine, violations)")
+def growth_violations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Families of texts whose work or space grows by a power above 1.2 from 2^10 to 2^17 symbols, for each engine; the gated one is held to its space alone."""
+    units = cut(growing_units(spark, sf_dir, range(10, 18)))
+    out = None
+    for name, (engine, options, _) in GROWING.items():
+        rows = cut(measures.kernel_growth(units, ["family"], engine, "codes", **options))
+        work, cells = (measures.growth(rows, ["family"], "n", c).withColumnRenamed("slope", c) for c in ("work", "cells"))
+        wrong = (F.col("cells") > 1.2) if name == "gated" else (F.col("work") > 1.2) | (F.col("cells") > 1.2)
+        one = work.join(cells, "family").agg(F.lit(name).alias("engine"), F.sum(wrong.cast("long")).alias("violations"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("growth_slopes")
+def growth_slopes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The powers themselves: of work and of space, by engine and family."""
+    units, out = cut(growing_units(spark, sf_dir, range(10, 18))), None
+    for name, (engine, options, _) in GROWING.items():
+        rows = cut(measures.kernel_growth(units, ["family"], engine, "codes", **options))
+        work, cells = (measures.growth(rows, ["family"], "n", c).select("family", F.round("slope", 4).alias(c)) for c in ("work", "cells"))
+        one = work.join(cells, "family").select(F.lit(name).alias("engine"), "family", "work", "cells")
         out = one if out is None else out.union(one)
     return out
 
@@ -439,11 +533,11 @@ def audit_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
     return a.select(F.expr("stack(3, 'lengths_grow', lengths_grow, 'too_many_steps', too_many_steps, 'idle_step', idle_step) as (lemma, violations)"))
 
 
-@query("audit_charges", "select * from (values ('starts', 0::bigint), ('sorting', 0), ('created_nodes', 0), ('edges', 0), ('list_operations', 0)) t(charge, violations)")
+@query("audit_charges", "select * from (values ('starts', 0::bigint), ('sorting', 0), ('created_nodes', 0), ('edges', 0), ('list_operations', 0), ('selection', 0)) t(charge, violations)")
 def audit_charges(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Charges against their bounds: 2n starts, n log n comparisons, n new nodes, edges below three for each cell of a replaced copy, 2n list operations."""
+    """Charges against their bounds: 2n starts, n log n comparisons, n new nodes, edges below three for each cell of a replaced copy, 2n list operations, and for the choice of nodes two for each position and start."""
     n = F.col("n")
-    over = {"starts": F.col("sum_d") > 2 * n, "sorting": F.col("sort_work") > 2 * n * F.log2(n + 1), "created_nodes": F.col("nodes_new") > n, "edges": F.col("edges") > 3 * F.col("taken"), "list_operations": F.col("bucket_ops") > 2 * n}
+    over = {"starts": F.col("sum_d") > 2 * n, "sorting": F.col("sort_work") > 2 * n * F.log2(n + 1), "created_nodes": F.col("nodes_new") > n, "edges": F.col("edges") > 3 * F.col("taken"), "list_operations": F.col("bucket_ops") > 2 * n, "selection": F.col("select_work") > 4 * n}
     a = _audited(spark, sf_dir).agg(*(F.sum(c.cast("long")).alias(k) for k, c in over.items()))
     return a.select(F.expr(f"stack({len(over)}, " + ", ".join(f"'{k}', {k}" for k in over) + ") as (charge, violations)"))
 
@@ -537,6 +631,17 @@ def lz77_noself_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.lz77(load_table(spark, sf_dir, "benchmark"), ["item_id"], self_ref=False).select("item_id", F.col("idx").cast("long").alias("idx"), "pos", F.col("len").cast("long").alias("len"))
 
 
+@query("lz77_frames", _lz_sql(True))
+def lz77_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by relations of positions and doubled jumps."""
+    return frames.lz77_rows(load_table(spark, sf_dir, "benchmark"), ["item_id"])
+
+
+@query("lz77_noself_frames", _lz_sql(False))
+def lz77_noself_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return frames.lz77_rows(load_table(spark, sf_dir, "benchmark"), ["item_id"], self_ref=False)
+
+
 @query("pairs_first_rule", """
 with p as (select item_id, substr(text, pos, 2) as x, pos from (select item_id, text, unnest(range(1, length(text))) as pos from benchmark)),
 r as (select item_id, x, pos, pos - row_number() over (partition by item_id, x order by pos) as run from p),
@@ -564,24 +669,51 @@ def grammar_first_rule(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ratios(docs: DataFrame, keys: list[str]) -> DataFrame:
-    """Sizes of every method over the units of each key: symbols of the residual and factors, rules, factors, bytes; and the fold's bits for input bits."""
+    """Sizes of every method over the units of each key, and the bits of its whole output under one code (zero-order entropy of each of its streams) for input bits."""
     ids = ["doc_id", *keys]
-    folded = cut(fold.fold(docs, ids))
-    n_bits = measures.histogram_bits(docs.select(*keys, F.explode(F.split("text", "")).alias("c")).where("c <> ''"), keys, "c").select(*keys, (F.col("n") * F.col("bits")).alias("input_bits"))
-    out = fold.sizes(folded).groupBy(*keys).agg(F.count("*").alias("n_units"), F.sum("n").alias("n"), F.sum("residual_len").alias("fold"), F.sum("n_factors").alias("fold_factors"))
-    parts = {
-        "simple": fold.sizes(fold.fold_simple(docs, ids)).groupBy(*keys).agg(F.sum("residual_len").alias("simple")),
-        "gated": fold.sizes(fold.fold_gated(docs, ids)).groupBy(*keys).agg(F.sum("residual_len").alias("gated")),
-        "lz77": baselines.lz77_sizes(docs, ids).groupBy(*keys).agg(F.sum("factors").alias("lz77")),
-        "longest": baselines.grammar_size(baselines.grammar_longest(docs, ids)).groupBy(*keys).agg(F.sum("size").alias("longest")),
-        "pairs": baselines.grammar_size(baselines.grammar_pairs(docs, ids)).groupBy(*keys).agg(F.sum("size").alias("pairs")),
-        "gzip": docs.select(*keys, baselines.gzip_size("text").alias("b")).groupBy(*keys).agg(F.sum("b").alias("gzip_bytes")),
-        "bits": measures.bit_costs(folded, keys).select(*keys, "total_bits"),
-        "input": n_bits,
-    }
+    folds = {"fold": cut(fold.fold(docs, ids)), "simple": cut(fold.fold_simple(docs, ids)), "gated": cut(fold.fold_gated(docs, ids))}
+    grammars = {"longest": cut(baselines.grammar_longest(docs, ids)), "pairs": cut(baselines.grammar_pairs(docs, ids))}
+    lz = cut(baselines.lz77(docs, ids))
+    out = input_bits(docs, keys)
+    parts = {name: fold.sizes(f).groupBy(*keys).agg(F.sum("residual_len").alias(name), F.sum("n_factors").alias(f"{name}_factors")) for name, f in folds.items()}
+    parts |= {name: baselines.grammar_size(g).groupBy(*keys).agg(F.sum("size").alias(name)) for name, g in grammars.items()}
+    parts |= {"lz77": lz.groupBy(*keys).agg(F.count("*").alias("lz77")), "gzip": docs.select(*keys, baselines.gzip_size("text").alias("b")).groupBy(*keys).agg((8 * F.sum("b")).cast("double").alias("gzip_bits"))}
+    streams = {name: measures.fold_streams(f, keys) for name, f in folds.items()} | {name: measures.grammar_streams(g, keys) for name, g in grammars.items()} | {"lz77": measures.lz77_streams(lz, keys)}
+    for name, rows in streams.items():
+        parts[f"{name}_bits"] = measures.method_bits(rows, keys).withColumnRenamed("bits", f"{name}_bits")
     for p in parts.values():
         out = out.join(p, keys, "left")
-    return out.withColumns({"total_bits": F.round("total_bits", 3), "input_bits": F.round("input_bits", 3), "fold_ratio": F.round(F.col("total_bits") / F.col("input_bits"), 6)})
+    bits = [*(f"{name}_bits" for name in streams), "gzip_bits"]
+    return out.withColumns({b: F.round(b, 3) for b in bits} | {b.replace("_bits", "_ratio"): F.round(F.col(b) / F.col("input_bits"), 6) for b in bits})
+
+
+def input_bits(docs: DataFrame, keys: list[str]) -> DataFrame:
+    """``keys, n_units, n, input_bits``: the units as they stand, under the same code."""
+    chars = docs.select(*keys, F.explode(F.split("text", "")).alias("c")).where("c <> ''")
+    bits = measures.histogram_bits(chars, keys, "c").select(*keys, F.round(F.col("n") * F.col("bits"), 3).alias("input_bits"))
+    return docs.groupBy(*keys).agg(F.count("text").alias("n_units"), F.sum(F.length("text")).alias("n")).join(bits, keys, "left")
+
+
+def _input_sql(keys: str, rows: str) -> str:
+    return f"""with d as ({rows}), c as (select {keys}, x, count(*)::double as k from (select {keys}, unnest(string_split(text, '')) as x from d) where x <> '' group by all), t as (select {keys}, sum(k) as all_k from c group by all),
+b as (select {keys}, round(-sum(k * log2(k / all_k)), 3) as input_bits from c join t using ({keys}) group by all)
+select {keys}, count(text)::bigint as n_units, sum(length(text))::bigint as n, any_value(input_bits) as input_bits from d join b using ({keys}) group by {keys}"""
+
+
+@query("ratio_inputs_by_lang", _input_sql("lang", "select * from documents"))
+def ratio_inputs_by_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the ratios are taken of."""
+    return input_bits(units_of(spark, sf_dir, "documents"), ["lang"])
+
+
+@query("ratio_inputs_by_source", _input_sql("source", "select * from documents"))
+def ratio_inputs_by_source(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return input_bits(units_of(spark, sf_dir, "documents"), ["source"])
+
+
+@query("ratio_inputs_by_quality", _input_sql("quality, toxic", "select * from documents join labels using (doc_id)"))
+def ratio_inputs_by_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return input_bits(load_table(spark, sf_dir, "documents").join(load_table(spark, sf_dir, "labels"), "doc_id"), ["quality", "toxic"])
 
 
 @query("ratio_by_lang")
@@ -672,10 +804,25 @@ def flags_by_region(spark: SparkSession, sf_dir: str) -> DataFrame:
     return f.groupBy("r_name").agg(F.count("*").alias("suppliers"), F.sum("n").alias("n"), F.sum("residual_len").alias("residual_len"))
 
 
-@query("suffix_tree_nodes", f"with {_LCP} select item_id, count(*)::bigint + 1 as leaves from l group by item_id")
+@query("suffix_tree_nodes", """
+with p as (select item_id, text, unnest(range(1, length(text) + 1)) as pos from benchmark),
+s as (select item_id, substr(text, pos, l) as x, case when pos + l <= length(text) then substr(text, pos + l, 1) else '>' end as b from (select item_id, text, pos, unnest(range(1, length(text) - pos + 2)) as l from p)),
+v as materialized (select item_id, x, count(distinct b)::bigint as children from s group by item_id, x having count(distinct b) > 1),
+u as (select v.item_id, v.x, max(length(w.x)) as up from v join v w on w.item_id = v.item_id and length(w.x) < length(v.x) and starts_with(v.x, w.x) group by all),
+l as (select v.item_id, v.x, w.x as link from v join v w on w.item_id = v.item_id and w.x = substr(v.x, 2))
+select v.item_id, v.x as node, children, coalesce(u.up, 0)::bigint as parent_depth, coalesce(l.link, '') as link, coalesce(l.link, '') = substr(v.x, 2) as linked
+from v left join u using (item_id, x) left join l using (item_id, x)""")
 def suffix_tree_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    t = repeats.suffix_tree(load_table(spark, sf_dir, "benchmark"), ["item_id"])
-    return t.groupBy("item_id").agg(F.count("leaf_id").alias("leaves"))
+    """Every inner node but the root: the string it spells, its children, the depth of its parent and the string of its link."""
+    items = load_table(spark, sf_dir, "benchmark")
+    t = cut(repeats.suffix_tree(items, ["item_id"]))
+    spelt = t.join(items, "item_id").select("item_id", "node", "parent", "slink", "depth", "leaf_id", F.when(F.col("leaf_id").isNull(), F.substring("text", (F.col("hi") - F.col("depth") + 1).cast("int"), F.col("depth"))).alias("x"))
+    inner = spelt.where("leaf_id is null and parent >= 0")
+    kids = t.groupBy("item_id", F.col("parent").alias("node")).agg(F.count("*").alias("children"))
+    up = spelt.select("item_id", F.col("node").alias("parent"), F.col("depth").cast("long").alias("parent_depth"))
+    link = spelt.select("item_id", F.col("node").alias("slink"), F.when(F.col("parent") < 0, "").otherwise(F.col("x")).alias("link"))
+    out = inner.join(kids, ["item_id", "node"]).join(up, ["item_id", "parent"]).join(link, ["item_id", "slink"])
+    return out.select("item_id", F.col("x").alias("node"), "children", "parent_depth", "link", (F.col("link") == F.expr("substring(x, 2)")).alias("linked"))
 
 
 @query("corpus_fold_worked", _values([(4, 1, 4, 1), (4, 1, 12, 2), (3, 1, 8, 3), (3, 1, 17, 3)], "len, first, pos, kind"))
@@ -688,6 +835,52 @@ def corpus_fold_worked(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fold_steps(places).select(F.col("len").cast("long").alias("len"), "first", "pos", F.col("kind").cast("long").alias("kind"))
 
 
+def _checked(name: str, units: str, method=None, **options) -> None:
+    """A query ``checked_<name>``: n, and whether the method's output gives back each unit of ``units``, adds up and is final."""
+    make, ids, col, sql = UNITS[units]
+    run = method or checks.folded
+
+    def check(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return run(make(spark, sf_dir), ids, col, **options)
+
+    query(f"checked_{name}", f"select {', '.join(ids)}, n::bigint as n, true as lossless, true as balanced, true as final from ({sql})")(check)
+
+
+def _table(name: str):
+    return lambda spark, sf_dir: units_of(spark, sf_dir, name)
+
+
+#: Units by name: how to make them, their ids and symbols, and ids and sizes in SQL.
+UNITS = {
+    "documents": (_table("documents"), ["doc_id"], "text", "select doc_id, length(text) as n from documents where text is not null"),
+    "pages": (_table("pages"), ["page_id"], "html", "select page_id, length(html) as n from pages where html is not null"),
+    "benchmark": (_table("benchmark"), ["item_id"], "text", "select item_id, length(text) as n from benchmark"),
+    "conversations": (lambda spark, sf_dir: tables.grouped_units(load_table(spark, sf_dir, "conversations"), ["conv_id"], ["turn"]), ["conv_id"], "codes", "select conv_id, sum(length(text) + 1) as n from conversations where text is not null group by conv_id"),
+    "parts": (_part_units, ["p_brand"], "text", "select p_brand, sum(length(p_name) + 1) - 1 as n from part group by p_brand"),
+    "customers": (lambda spark, sf_dir: _customer_units(spark, sf_dir), ["c_mktsegment"], "text", "select c_mktsegment, sum(length(c_name) + 1) - 1 as n from customer group by c_mktsegment"),
+    "signs": (lambda spark, sf_dir: tables.sign_units(load_table(spark, sf_dir, "embeddings")), ["vec_id"], "text", "select vec_id, len(embedding) as n from embeddings"),
+    "events": (lambda spark, sf_dir: tables.symbol_units(load_table(spark, sf_dir, "events"), ["user_id"], ["ts", "event_id"], "event_type"), ["user_id"], "symbols", "select user_id, count(event_type) as n from events group by user_id"),
+    "flags": (lambda spark, sf_dir: _flags(spark, sf_dir), ["l_suppkey"], "symbols", "select l_suppkey, count(*) as n from lineitem group by l_suppkey"),
+    "sources": (lambda spark, sf_dir: tables.grouped_units(load_table(spark, sf_dir, "documents"), ["source"], ["doc_id"]), ["source"], "codes", "select source, sum(length(text) + 1) as n from documents where text is not null group by source"),
+}
+
+for _units in ("documents", "pages", "conversations", "parts", "customers", "signs", "events", "flags", "sources"):
+    _checked(f"fold_{_units}", _units)
+_checked("fold_tree_lex", "benchmark", engine="tree", tie="lex")
+_checked("fold_tree_bucket", "benchmark", engine="tree", tie="bucket")
+_checked("fold_tree_documents", "documents", engine="tree")
+_checked("fold_min_len", "benchmark", min_len=4)
+_checked("fold_simple_documents", "documents", mode="simple", order="ends_first")
+_checked("fold_simple_scan", "documents", mode="simple", order="scan")
+_checked("fold_simple_hash", "documents", mode="simple", order="hash")
+_checked("fold_gated_documents", "documents", engine="gated")
+_checked("lz77_documents", "documents", checks.factored)
+_checked("lz77_noself_documents", "documents", checks.factored, self_ref=False)
+_checked("grammar_longest_documents", "documents", checks.ruled)
+_checked("grammar_bodies_benchmark", "benchmark", checks.ruled, build=longest_grammar_bodies, bodies=True)
+_checked("grammar_pairs_documents", "documents", checks.ruled, build=lambda codes, sa, lcp: pair_grammar(codes), pairs_of_names=True)
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -149,3 +149,41 @@ def test_worked_grammars_and_factors():
     assert (len(start), sum(map(len, rules.values()))) == (8, 6)
     cut = {"".join(chr(x) for x in c[sa[lo] : sa[lo] + p]) for p, lo, hi in suffix.maximal_repeats(c, sa, lcp)}
     assert cut == {"a", "c", "ca", "abc", "abca", "cabc"}
+
+
+def test_tree_choice_is_not_quadratic():
+    """Pairs that stand twice: one bucket holds a third as many nodes as the text has symbols."""
+    from repeatfold.kernels import reach, suffix, tree
+
+    per = {}
+    for k in (1_000, 8_000):
+        codes = [x for part in (10**6, 2 * 10**6) for i in range(k) for x in (2 * i, 2 * i + 1, part + i)]
+        sa, lcp = suffix.order_of(codes)
+        for tie in ("leftmost", "lex"):
+            f = tree.run(codes, sa, lcp, tie=tie)
+            want = reach.run(codes, sa, lcp, tie=tie)
+            assert (f.residual, f.factors, f.kinds) == (want.residual, want.factors, want.kinds)
+            per.setdefault(tie, []).append(sum(s.select_work for s in f.steps) / len(codes))
+            assert f.cells < 20 * len(codes)
+    assert all(b < 1.2 * a for a, b in per.values())
+
+
+def test_grammar_with_bodies():
+    import random
+
+    from repeatfold.kernels import baselines, suffix
+
+    rng = random.Random(9)
+    smaller = 0
+    for _ in range(200):
+        codes = [rng.randrange(3) for _ in range(rng.randint(0, 120))]
+        order = suffix.order_of(codes)
+        plain, full = baselines.longest_grammar(codes, *order), baselines.longest_grammar_bodies(codes, *order)
+        assert baselines.expand(*full) == codes
+        line = list(full[1])
+        for k, body in enumerate(full[0].values()):
+            line += [-(1 << 40) - k, *body]
+        assert all(n < 2 for pair, n in baselines.disjoint_pairs(line).items()) and all(len(b) > 1 for b in full[0].values())
+        size = lambda g: len(g[1]) + sum(map(len, g[0].values()))
+        smaller += size(full) <= size(plain)
+    assert smaller > 100
