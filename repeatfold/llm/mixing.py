@@ -119,9 +119,9 @@ def calibrate(
 
 
 def sample(calibrated: DataFrame) -> DataFrame:
-    """Rows of ``calibrate``, each as often as it has copies."""
+    """Rows of ``calibrate``, each as often as it has copies. No filter before: pushed down, it would work out the rates, and read the texts, once more."""
     (k,) = fresh(calibrated, "_k")
-    return calibrated.where("copies > 0").withColumn(k, F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).drop(k)
+    return calibrated.withColumn(k, F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).drop(k)
 
 
 def marginals(calibrated: DataFrame, source: Mapping[str, float] = SOURCE, lang: Mapping[str, float] = LANG, topic: Mapping[str, float] = TOPIC, text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
