@@ -45,7 +45,7 @@ FIRST = 4
 VERY_HOT = 13
 #: Partitions over which the postings of one such token are dealt, and partitions of postings for each one of the session's shuffles.
 SALT = 16
-PARTS = 4
+PARTS = 1
 SPLIT = 4_000
 LEAF, FAN = 64, 8
 
