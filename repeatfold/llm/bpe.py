@@ -4,10 +4,14 @@ All sequences lie one after another in one flat array of symbols. In a round eac
 neighbouring pairs and merges that pair; a round is a handful of array operations over every sequence that still changes.
 Ranks whose product may at once take part in a better pair, and ranks shared by several pieces, are merged one (leftmost)
 occurrence a round, so that the result is that of a priority queue over (rank, position).
+
+A round reads a whole sequence, so sequences of over ``LONG`` symbols take the same merges on linked arrays: a round goes to the places of the
+lowest rank alone, and the work follows the number of merges.
 """
 
 from __future__ import annotations
 
+import heapq
 import json
 from functools import lru_cache
 
@@ -16,6 +20,8 @@ import numpy as np
 from repeatfold.llm.words import hash_spans, mix
 
 NONE = np.int32(2**31 - 1)
+#: Symbols of a sequence from which rounds go to the places of a rank instead of reading the whole sequence.
+LONG = 400
 
 
 class PairTable:
@@ -113,6 +119,89 @@ def merge_all(symbols: np.ndarray, lengths: np.ndarray, table: PairTable) -> tup
     return sym[order], np.bincount(seq, minlength=len(lengths))
 
 
+def merge_linked(symbols: np.ndarray, lengths: np.ndarray, table: PairTable) -> tuple[np.ndarray, np.ndarray]:
+    """As ``merge_all``, for long sequences: places are kept by rank, and a round merges all places of the lowest one.
+
+    Where a product would at once take part in a pair of that rank or a lower one, its sequence's later places wait for the next round.
+    """
+    n = len(symbols)
+    seq = np.repeat(np.arange(len(lengths)), lengths)
+    # one place more at the end, of no sequence, follows the last symbol and precedes the first
+    sym, seq = np.append(symbols, -1).astype(np.int32), np.append(seq, -1)
+    after, before = np.arange(1, n + 2), np.arange(-1, n)
+    after[n], before[0] = n, n
+    alive = np.ones(n + 1, bool)
+    rank, product = np.full(n + 1, NONE, np.int32), np.zeros(n + 1, np.int32)
+    waiting: dict[int, list[np.ndarray]] = {}
+    heap: list[int] = []
+
+    def find(left: np.ndarray, right: np.ndarray, same: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        out, made = np.full(len(left), NONE, np.int32), np.zeros(len(left), np.int32)
+        ok = np.flatnonzero(same & (left >= 0) & (right >= 0))
+        out[ok], place = table.find(left[ok], right[ok])
+        made[ok] = table.merged[place]
+        return out, made
+
+    def wait(at: np.ndarray) -> None:
+        at = at[rank[at] < NONE]
+        at = at[np.argsort(rank[at], kind="stable")]
+        r = rank[at]
+        cuts = np.flatnonzero(r[1:] != r[:-1]) + 1
+        for part in np.split(at, cuts) if len(at) else []:
+            k = int(rank[part[0]])
+            if k not in waiting:
+                heapq.heappush(heap, k)
+            waiting.setdefault(k, []).append(part)
+
+    every = np.arange(n)
+    rank[:n], product[:n] = find(sym[:n], sym[after[:n]], seq[:n] == seq[after[:n]])
+    wait(every)
+    while heap:
+        best = heapq.heappop(heap)
+        at = np.unique(np.concatenate(waiting.pop(best)))
+        at = at[alive[at] & (rank[at] == best)]
+        if not len(at):
+            continue
+        # of places that share symbols every other one
+        apart = np.concatenate([[True], after[at[:-1]] != at[1:]])
+        run = np.maximum.accumulate(np.where(apart, np.arange(len(at)), 0))
+        pick = at[(np.arange(len(at)) - run) % 2 == 0]
+        gone = after[pick]
+        beyond, ahead = after[gone], before[pick]
+        made = product[pick]
+        left = sym[ahead]
+        joined = np.flatnonzero(ahead[1:] == gone[:-1]) + 1
+        left[joined] = made[joined - 1]
+        better = (find(made, sym[beyond], seq[pick] == seq[beyond])[0] <= best) | (find(left, made, seq[ahead] == seq[pick])[0] <= best)
+        if better.any():
+            first = np.concatenate([[True], seq[pick][1:] != seq[pick][:-1]])
+            earlier = np.cumsum(better) - better
+            held = earlier > earlier[np.maximum.accumulate(np.where(first, np.arange(len(pick)), 0))]
+            pick, gone, beyond, made = pick[~held], gone[~held], beyond[~held], made[~held]
+        sym[pick], alive[gone], rank[gone] = made, False, NONE
+        after[pick], before[beyond] = beyond, pick
+        touched = np.unique(np.concatenate([pick, before[pick]]))
+        touched = touched[touched < n]
+        rank[touched], product[touched] = find(sym[touched], sym[after[touched]], seq[touched] == seq[after[touched]])
+        wait(np.union1d(touched, at[alive[at] & (rank[at] == best)]))
+    alive[n] = False
+    return sym[alive], np.bincount(seq[alive], minlength=len(lengths))
+
+
+def merge(symbols: np.ndarray, lengths: np.ndarray, table: PairTable) -> tuple[np.ndarray, np.ndarray]:
+    """Surviving symbols and their number in each sequence, whatever the sequences' lengths."""
+    long = lengths > LONG
+    if not long.any():
+        return merge_all(symbols, lengths, table)
+    mine = np.repeat(long, lengths)
+    sizes = np.zeros(len(lengths), np.int64)
+    (a, sizes[long]), (b, sizes[~long]) = merge_linked(symbols[mine], lengths[long], table), merge_all(symbols[~mine], lengths[~long], table)
+    out = np.zeros(int(sizes.sum()), np.int32)
+    mine = np.repeat(long, sizes)
+    out[mine], out[~mine] = a, b
+    return out, sizes
+
+
 class SpanCache:
     """hash of a span -> ragged values, in sorted arrays; holds at most ``limit`` spans, later ones are worked out anew."""
 
@@ -156,9 +245,6 @@ def spread(pool: np.ndarray, at: np.ndarray, size: np.ndarray) -> np.ndarray:
 class PieceCounter:
     """Token counts as the sentencepiece library gives them for a BPE model with byte fallback, a dummy prefix and identity normalisation."""
 
-    #: Segments of more characters go to the library: thousands of rounds for one sequence would hold up a batch.
-    LONG = 400
-
     def __init__(self, path: str) -> None:
         import sentencepiece
         from sentencepiece import sentencepiece_model_pb2
@@ -185,21 +271,15 @@ class PieceCounter:
 
     def _sizes(self, spans: list[bytes]) -> np.ndarray:
         texts = [s.decode() for s in spans]
-        out = np.zeros(len(texts), np.int64)
-        lengths = np.array([len(t) for t in texts])
-        for i in np.flatnonzero(lengths > self.LONG):
-            # a segment that begins with a space is what the library makes of the rest; one after a line break gets no prefix
-            out[i] = len(self.library.encode(texts[i][1:])) if texts[i][0] in " ▁" else len(self.library.encode("\n" + texts[i])) - len(self.library.encode("\n"))
-        short = np.flatnonzero(lengths <= self.LONG)
-        code = np.frombuffer("".join(texts[i] for i in short).encode("utf-32-le"), np.uint32)
+        lengths = np.array([len(t) for t in texts], np.int64)
+        code = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)
         ids = self.char[code]
         # a character that is no piece gives a token for each of its bytes
         odd = np.where(ids < 0, 1 + (code > 0x7F).astype(np.int64) + (code > 0x7FF) + (code > 0xFFFF) - 1, 0)
-        _, sizes = merge_all(ids, lengths[short], self.table)
+        _, sizes = merge(ids, lengths, self.table)
         if odd.any():
-            sizes = sizes + np.bincount(np.repeat(np.arange(len(short)), lengths[short]), odd, len(short)).astype(np.int64)
-        out[short] = sizes
-        return out
+            sizes = sizes + np.bincount(np.repeat(np.arange(len(texts)), lengths), odd, len(texts)).astype(np.int64)
+        return sizes
 
     def count(self, first: int, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """Tokens of each text of a slice."""
@@ -244,8 +324,6 @@ class WordEncoder:
     any other span (other scripts, quotes, special strings, control bytes) is encoded by the library itself.
     """
 
-    LONG = 200
-
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
@@ -292,7 +370,7 @@ class WordEncoder:
         low = np.concatenate([flat[1:], np.zeros(1, np.uint8)])
         wrong |= (kind == 4) & ((low == 0x97) | (low == 0xB7))  # the signs for times and divided by
         wrong |= (flat == ord("<")) & (low == ord("|"))
-        plain = (np.bincount(owner, wrong, len(start)) == 0) & (length <= self.LONG)
+        plain = np.bincount(owner, wrong, len(start)) == 0
         out: list[np.ndarray] = [np.zeros(0, np.int32)] * 2
         odd = np.flatnonzero(~plain)
         texts = [data[start[i] : end[i]].tobytes().decode() for i in odd]
@@ -309,7 +387,7 @@ class WordEncoder:
         final = np.zeros(len(flat), bool)
         final[np.append(at[1:], len(flat))[: len(at)] - 1] = True
         symbols = np.where(final, self.last[lower], self.inner[lower])
-        sym, sizes = merge_all(symbols, np.diff(np.append(at, len(flat))), self.table)
+        sym, sizes = merge(symbols, np.diff(np.append(at, len(flat))), self.table)
         per = np.bincount(owner[at], sizes, len(start)).astype(np.int64) if len(at) else np.zeros(len(start), np.int64)
         if not ids:
             return sym, per

@@ -234,6 +234,25 @@ def test_merging_equals_the_libraries():
     assert ids == [e.ids for e in words.library.encode_batch(texts, add_special_tokens=False)]
 
 
+def test_long_sequences_merge_like_short_ones():
+    rng = random.Random(2)
+    letters = ["ab", "a", "abcdefghijklmnopqrstuvwxyz", "etaoin=-_", "0123456789abcdef", "日本語é", "ABCdef+/0"]
+    word = lambda n: "".join(rng.choices(rng.choice(letters), k=n))
+    pieces, words = bpe.piece_counter(queries.tokenizer_path("piece_bpe_32k.model")), bpe.word_encoder(queries.tokenizer_path("word_bpe_49k.json"))
+    for _ in range(100):
+        own = [word(rng.randint(1, 60)) for _ in range(5)]
+        symbols, lengths = pieces.char[[ord(c) for w in own for c in w]], np.array([len(w) for w in own])
+        for a, b in zip(bpe.merge_all(symbols, lengths, pieces.table), bpe.merge_linked(symbols, lengths, pieces.table), strict=True):
+            assert np.array_equal(a, b)
+    texts = [rng.choice([" ", "\n", ""]).join(rng.choice([word(n), (word(rng.randint(1, 9)) * n)[:n]]) for n in rng.choices([3, 399, 400, 401, 2500], k=3)) for _ in range(150)]
+    got = np.concatenate([pieces.count(*s) for s in text_slices(pa.array(texts))])
+    assert got.tolist() == [len(x) for x in pieces.library.encode(texts)]
+    for s in word_slices(pa.array(texts)):
+        flat, size = words.encode(s.data, s.start, s.end)
+        at = np.concatenate([[0], np.cumsum(size)])
+        assert [flat[at[s.at[d]] : at[s.at[d + 1]]].tolist() for d in range(s.n)] == [words.library.encode(t, add_special_tokens=False).ids for t in texts[s.first : s.first + s.n]]
+
+
 def test_packing_is_an_exact_round_trip(odd, docs):
     path = queries.tokenizer_path("word_bpe_49k.json")
     library = bpe.word_encoder(path).library
