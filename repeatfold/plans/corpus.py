@@ -101,11 +101,15 @@ def fold_steps(positions: DataFrame, min_len: int = 2) -> DataFrame:
     log = None
     limit = (lcp.agg(F.max("lcp")).first()[0] or 0) + 1
     while True:
-        # the greatest length that still repeats; a prefix of a repeat repeats, so halving finds it
-        low, high = min_len - 1, limit
+        # the greatest length that still repeats; a prefix of a repeat repeats, so halving finds it. It is mostly the last one or little less:
+        # steps down from there that double come first
+        low, high, step = min_len - 1, limit, 1
         while high - low > 1:
-            mid = (low + high) // 2
-            low, high = (mid, high) if not _classes(state, lcp, mid).isEmpty() else (low, mid)
+            mid = max(high - step, (low + high) // 2) if step else (low + high) // 2
+            if not _classes(state, lcp, mid).isEmpty():
+                low, step = mid, 0
+            else:
+                high, step = mid, 2 * step
         if low < min_len:
             break
         length, limit = low, low + 1

@@ -835,6 +835,23 @@ def corpus_fold_worked(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fold_steps(places).select(F.col("len").cast("long").alias("len"), "first", "pos", F.col("kind").cast("long").alias("kind"))
 
 
+@query("corpus_fold_suppliers", "select s_nationkey, sum(length(s_name) + 1)::bigint as n, 0::bigint as differing from supplier where s_name is not null group by s_nationkey")
+def corpus_fold_suppliers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Corpus mode on a table: the names of a nation's suppliers are one unit that is never gathered; replaced copies that the kernel's steps do not have, or only they."""
+    from repeatfold.plans.corpus import fold_steps, grouped_positions
+
+    rows = load_table(spark, sf_dir, "supplier")
+    places, keys = grouped_positions(rows, ["s_nationkey"], ["s_suppkey"], "s_name")
+    places = cut(places)
+    found = fold_steps(places).join(keys, "unit").select("s_nationkey", "len", "first", "pos", "kind")
+    steps = fold.fold(tables.grouped_units(rows, ["s_nationkey"], ["s_suppkey"], "s_name"), ["s_nationkey"], "codes", log=True)
+    steps = steps.select("s_nationkey", "len", "first", F.inline(F.arrays_zip("picks", "pick_kinds")).alias("pos", "kind"))
+    both = found.withColumn("side", F.lit(1)).unionByName(steps.select("s_nationkey", "len", "first", "pos", "kind").withColumn("side", F.lit(2)))
+    differing = both.groupBy("s_nationkey", "len", "first", "pos", "kind").agg(F.sum("side").alias("sides")).where("sides <> 3").groupBy("s_nationkey").agg(F.count("*").alias("differing"))
+    n = places.groupBy("unit").agg(F.count("*").alias("n")).join(keys, "unit")
+    return n.join(differing, n["s_nationkey"].eqNullSafe(differing["s_nationkey"]), "left").select(n["s_nationkey"], "n", F.coalesce("differing", F.lit(0).cast("long")).alias("differing"))
+
+
 def _checked(name: str, units: str, method=None, **options) -> None:
     """A query ``checked_<name>``: n, and whether the method's output gives back each unit of ``units``, adds up and is final."""
     make, ids, col, sql = UNITS[units]
