@@ -11,13 +11,15 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
-from repeatfold.kernels import baselines
+from repeatfold.kernels import baselines, jvm
 from repeatfold.model import GRAMMAR, LZ77
 from repeatfold.operators.units import map_units
 
 
 def lz77(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", self_ref: bool = True) -> DataFrame:
     """Factors in order: ``idx, pos, src, len, literal`` (1-based; src null for a literal, literal null else)."""
+    if self_ref and jvm.fits(df, text_col):
+        return jvm.rows(df, id_cols, text_col, LZ77, "lz77", "lz77")
 
     def work(codes, sa, lcp):
         pos = 1
@@ -30,6 +32,8 @@ def lz77(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", self_ref
 
 def lz77_sizes(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", self_ref: bool = True) -> DataFrame:
     """``n, factors`` of each unit, counted where the unit is."""
+    if self_ref and jvm.fits(df, text_col):
+        return jvm.rows(df, id_cols, text_col, "n bigint, factors bigint", "lz77_sizes", "lz77")
     work = lambda codes, sa, lcp: [(len(codes), len(baselines.lz77(codes, sa, lcp) if self_ref else baselines.lz77_apart(codes)))]
     return map_units(df, id_cols, text_col, "n bigint, factors bigint", work, need_order=self_ref)
 
@@ -47,7 +51,10 @@ def lz77_decode(factors: DataFrame, id_cols: Sequence[str]) -> DataFrame:
     return rows.mapInArrow(run, StructType([factors.schema[c] for c in id_cols] + [StructField("text", StringType())]))
 
 
-def _grammar(df: DataFrame, id_cols: Sequence[str], text_col: str, build, need_order: bool) -> DataFrame:
+def _grammar(df: DataFrame, id_cols: Sequence[str], text_col: str, build, need_order: bool, engine: str | None = None) -> DataFrame:
+    if engine and jvm.fits(df, text_col):
+        return jvm.rows(df, id_cols, text_col, GRAMMAR, "grammar", engine, null_row=True)
+
     def work(codes, sa, lcp):
         rules, start = build(codes, sa, lcp)
         yield list(rules.items()), start
@@ -57,12 +64,12 @@ def _grammar(df: DataFrame, id_cols: Sequence[str], text_col: str, build, need_o
 
 def grammar_pairs(df: DataFrame, id_cols: Sequence[str], text_col: str = "text") -> DataFrame:
     """``rules, start``: the most frequent pair first; rule names are below -9."""
-    return _grammar(df, id_cols, text_col, lambda codes, sa, lcp: baselines.pair_grammar(codes), False)
+    return _grammar(df, id_cols, text_col, lambda codes, sa, lcp: baselines.pair_grammar(codes), False, "pairs")
 
 
 def grammar_longest(df: DataFrame, id_cols: Sequence[str], text_col: str = "text", bodies: bool = False) -> DataFrame:
     """``rules, start``: the longest string with two disjoint copies first; with ``bodies`` rule bodies are searched too."""
-    return _grammar(df, id_cols, text_col, baselines.longest_grammar_bodies if bodies else baselines.longest_grammar, True)
+    return _grammar(df, id_cols, text_col, baselines.longest_grammar_bodies if bodies else baselines.longest_grammar, True, None if bodies else "longest")
 
 
 def grammar_size(g: DataFrame) -> DataFrame:
