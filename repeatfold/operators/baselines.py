@@ -51,6 +51,16 @@ def lz77_decode(factors: DataFrame, id_cols: Sequence[str]) -> DataFrame:
     return rows.mapInArrow(run, StructType([factors.schema[c] for c in id_cols] + [StructField("text", StringType())]))
 
 
+def lz77_units(df: DataFrame, id_cols: Sequence[str], text_col: str = "text") -> DataFrame:
+    """``ids, factors``: the rows of ``lz77`` in one array a unit; null for a null unit."""
+    return jvm.rows(df, id_cols, text_col, f"factors array<struct<{LZ77.replace(' ', ':').replace(',:', ',')}>>", "lz77_units", "lz77", null_row=True)
+
+
+def lz77_texts(units: DataFrame) -> DataFrame:
+    """``ids, text`` from the arrays of ``lz77_units``, where they are."""
+    return jvm.rows(units, [c for c in units.columns if c != "factors"], "factors", "text string", "lz77_text", "lz77", null_row=True)
+
+
 def _grammar(df: DataFrame, id_cols: Sequence[str], text_col: str, build, need_order: bool, engine: str | None = None) -> DataFrame:
     if engine and jvm.fits(df, text_col):
         return jvm.rows(df, id_cols, text_col, GRAMMAR, "grammar", engine, null_row=True)

@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from repeatfold.kernels import suffix
+from repeatfold.kernels import jvm, suffix
 from repeatfold.kernels.tree import ROOT, Tree
 from repeatfold.model import INTERVALS, REPEATS, SUFFIXES, TREE_NODES
 from repeatfold.operators.units import map_units
@@ -23,6 +23,11 @@ def occurrences(df: DataFrame, pattern, text_col: str = "text") -> DataFrame:
     return df.where((F.length(p) > 0) & F.contains(text, p)).withColumn("pos", F.explode(found).cast("long"))
 
 
+def windows(df: DataFrame, id_cols: Sequence[str], width: int, text_col: str = "text") -> DataFrame:
+    """``ids, a, b``: 122 bits of rolling hashes for each distinct string of ``width`` symbols of a unit, in one pass over it."""
+    return jvm.rows(df, id_cols, text_col, "a bigint, b bigint", "windows", "none", min_len=width)
+
+
 def repeats_at(df: DataFrame, length: int, id_cols: Sequence[str], text_col: str = "text") -> DataFrame:
     """Classes of equal substrings of ``length`` with two starts or more: ``len, first, n_occ``. Runs of the suffix order, no shuffle."""
 

@@ -77,3 +77,49 @@ def test_null_units_and_integers(spark):
     rows = {r["id"]: r for r in fold.fold(df, ["id"], "codes").collect()}
     assert rows[1]["residual"] == [1, 2, -2, 0x110005] and rows[2]["residual"] is None and rows[3]["n"] == 0
     assert fold.fold(df, ["id"], "codes", log=True).count() == 1 and checks.folded(df, ["id"], "codes").count() == 2
+
+
+def test_step_totals_are_those_of_the_log(units):
+    from repeatfold.operators import measures
+
+    names = [c.split()[0] for c in fold.TOTALS.split(", ") if c != "n bigint"]
+    want = {r["id"]: [r[c] for c in names] for r in measures.step_stats(fold.fold(units, ["id"], engine="tree", log=True), ["id"]).collect()}
+    found = {r["id"]: [r[c] for c in names] for r in fold.step_totals(units, ["id"]).collect()}
+    assert found.keys() == want.keys()
+    for k in want:
+        assert found[k] == [pytest.approx(x) if isinstance(x, float) else x for x in want[k]]
+    assert "Exchange" not in fold.step_totals(units, ["id"])._jdf.queryExecution().executedPlan().toString().split("InMemoryRelation")[0]
+
+
+def test_distinct_folds_move_sizes_only(units):
+    from repeatfold.plans import planner
+
+    both = units.union(units.selectExpr("id + 10000", "text")).union(units.selectExpr("-1", "cast(null as string)").limit(1))
+    found = planner.fold_distinct(both, ["id"], only_sizes=True)
+    assert sorted(map(tuple, found.collect()), key=repr) == sorted(map(tuple, fold.sizes(fold.fold(both, ["id"])).select(found.columns).collect()), key=repr)
+    assert "residual#" not in found._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_pairs_left_in_a_residual(spark):
+    df = spark.createDataFrame([(1, [1, 2, -2, 1, 2, 1, 2, 3]), (2, None), (3, [])], "id int, residual array<int>")
+    assert {r["id"]: r["violations"] for r in fold.irreducible(df).collect()} == {1: 2, 2: 0, 3: 0}
+
+
+def test_factors_of_a_unit_stay_together(spark):
+    from repeatfold.operators.baselines import lz77_texts, lz77_units
+
+    df = spark.createDataFrame([(1, "abababxab𝒳𝒳𝒳"), (2, None), (3, "")], "id int, text string")
+    back = lz77_texts(lz77_units(df, ["id"]))
+    assert sorted(map(tuple, back.collect())) == [(1, "abababxab𝒳𝒳𝒳"), (2, None), (3, "")]
+    assert "Exchange" not in back._jdf.queryExecution().executedPlan().toString()
+
+
+def test_windows_tell_strings_apart(spark):
+    from repeatfold.operators.repeats import windows
+
+    rows = texts()
+    df = spark.createDataFrame(list(enumerate(rows)), "id int, text string")
+    for width in (1, 3, 48):
+        found = windows(df, ["id"], width).collect()
+        want = {(k, t[i : i + width]) for k, t in enumerate(rows) for i in range(len(t) - width + 1)}
+        assert len(found) == len(want) and len({(r["a"], r["b"]) for r in found}) == len({x for _, x in want})
