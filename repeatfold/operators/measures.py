@@ -59,9 +59,7 @@ def bit_costs(folded: DataFrame, keys: Sequence[str], code: str = "entropy") ->
     for name, rows in parts.items():
         h = histogram_bits(rows, keys, "x", code).select(*keys, F.col("n").alias(f"n_{name}"), F.col("bits").alias(f"bit_{name}"))
         out = out.join(h, list(keys), "left").fillna(0, [f"n_{name}", f"bit_{name}"])
-    per = F.greatest(F.col("bit_residual"), F.lit(1e-12))
-    total = sum((F.col(f"n_{p}") * F.col(f"bit_{p}") for p in parts), F.lit(0.0))
-    return out.withColumns({"alpha": F.col("bit_factors") / per, "beta": 1 + F.col("bit_kinds") / per, "total_bits": total})
+    return _with_gate(out)
 
 
 def estimate_gate(folded: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
@@ -178,3 +176,79 @@ def _union(frames: Sequence[DataFrame]) -> DataFrame:
     for f in frames[1:]:
         out = out.union(f)
     return out
+
+
+#: Each method's engine and options for ``stream_counts``.
+STREAMS = {
+    "fold": ("reach", {}), "simple": ("reach", {"mode": "simple"}), "gated": ("gated", {}), "longest": ("longest", {}), "pairs": ("pairs", {}), "lz77": ("lz77", {}), "chars": ("chars", {}),
+}
+
+
+def stream_counts(df: DataFrame, keys: Sequence[str], method: str, text_col: str = "text", joined: bool = False) -> DataFrame:
+    """``keys, stream, x, n``: symbols of the streams of a method's output over all units of a key. A unit's own histogram leaves the JVM, not its output.
+
+    Streams are those of ``fold_streams``, ``grammar_streams`` and ``lz77_streams`` (chars: the text itself); with ``joined`` pointers and lengths
+    are one stream of pairs, ``factors``.
+    """
+    from repeatfold.kernels import jvm
+
+    engine, options = STREAMS[method]
+    rows = jvm.rows(df, keys, text_col, "stream string, x bigint, k bigint", "streams", engine, joined=joined, **options)
+    return rows.groupBy(*keys, "stream", "x").agg(F.sum("k").alias("n"))
+
+
+@F.pandas_udf(DoubleType())
+def huffman_of_runs(runs: pd.Series) -> pd.Series:
+    """``huffman_mean`` of histograms given as (count, number of symbols that have it)."""
+
+    def one(pairs) -> float:
+        heap = [(float(p["c"]), int(p["m"])) for p in pairs]
+        total, bits = sum(c * m for c, m in heap), 0.0
+        if len(heap) == 1 and heap[0][1] == 1:
+            return 1.0
+        heapq.heapify(heap)
+        while heap:
+            c, m = heapq.heappop(heap)
+            if m > 1:
+                bits += 2 * c * (m // 2)
+                heapq.heappush(heap, (2 * c, m // 2))
+                if m % 2:
+                    heapq.heappush(heap, (c, 1))
+            elif heap:
+                d, k = heapq.heappop(heap)
+                bits += c + d
+                if k > 1:
+                    heapq.heappush(heap, (d, k - 1))
+                heapq.heappush(heap, (c + d, 1))
+        return bits / total if total else 0.0
+
+    return runs.map(one)
+
+
+def stream_bits(counts: DataFrame, keys: Sequence[str], code: str = "entropy") -> DataFrame:
+    """``keys, stream, n, bits``: symbols and mean bits under the code. Counts are gathered by their value, so no row grows with the symbols."""
+    runs = counts.groupBy(*keys, "stream", F.col("n").alias("c")).agg(F.count("*").alias("m"))
+    weight = F.col("c") * F.col("m")
+    out = runs.groupBy(*keys, "stream").agg(
+        F.sum(weight).alias("n"), F.sum("m").alias("distinct"), F.sum(weight * F.log2("c")).alias("_s"), *([F.collect_list(F.struct("c", "m")).alias("_runs")] if code == "huffman" else []),
+    )
+    bits = {
+        "entropy": lambda: F.log2("n") - F.col("_s") / F.col("n"), "huffman": lambda: huffman_of_runs("_runs"), "fixed": lambda: F.ceil(F.log2(F.greatest(F.col("distinct"), F.lit(2)))).cast("double"),
+    }[code]()
+    return out.select(*keys, "stream", "n", bits.alias("bits"))
+
+
+def stream_costs(counts: DataFrame, all_keys: DataFrame, keys: Sequence[str], code: str = "entropy") -> DataFrame:
+    """``bit_costs`` from joined ``stream_counts`` of the fold; ``all_keys`` has each key once."""
+    bits = stream_bits(counts, keys, code)
+    out = all_keys
+    for name in ("residual", "kinds", "factors"):
+        h = bits.where(F.col("stream") == name).select(*keys, F.col("n").alias(f"n_{name}"), F.col("bits").alias(f"bit_{name}"))
+        out = out.join(h, list(keys), "left").fillna(0, [f"n_{name}", f"bit_{name}"])
+    return _with_gate(out)
+
+
+def _with_gate(out: DataFrame) -> DataFrame:
+    per = F.greatest(F.col("bit_residual"), F.lit(1e-12))
+    total = sum((F.col(f"n_{p}") * F.col(f"bit_{p}") for p in ("residual", "kinds", "factors")), F.lit(0.0))
+    return out.withColumns({"alpha": F.col("bit_factors") / per, "beta": 1 + F.col("bit_kinds") / per, "total_bits": total})

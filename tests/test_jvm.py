@@ -123,3 +123,25 @@ def test_windows_tell_strings_apart(spark):
         found = windows(df, ["id"], width).collect()
         want = {(k, t[i : i + width]) for k, t in enumerate(rows) for i in range(len(t) - width + 1)}
         assert len(found) == len(want) and len({(r["a"], r["b"]) for r in found}) == len({x for _, x in want})
+
+
+def test_stream_histograms_give_the_bits_of_whole_outputs(spark):
+    from repeatfold.operators import baselines as b
+    from repeatfold.operators import measures
+
+    docs = spark.createDataFrame([(k, "ab"[k % 2], t) for k, t in enumerate(texts()[:120])], "id int, lang string, text string").repartition(3)
+    ids, key = ["id", "lang"], ["lang"]
+    whole = {
+        "fold": measures.fold_streams(fold.fold(docs, ids), key), "simple": measures.fold_streams(fold.fold_simple(docs, ids), key), "gated": measures.fold_streams(fold.fold_gated(docs, ids), key),
+        "longest": measures.grammar_streams(b.grammar_longest(docs, ids), key), "pairs": measures.grammar_streams(b.grammar_pairs(docs, ids), key), "lz77": measures.lz77_streams(b.lz77(docs, ids), key),
+    }
+    for name, streams in whole.items():
+        want = {tuple(r)[:2]: tuple(r)[2:] for r in measures.histogram_bits(streams, [*key, "stream"], "x").select("lang", "stream", "n", "bits").collect()}
+        found = {tuple(r)[:2]: tuple(r)[2:] for r in measures.stream_bits(measures.stream_counts(docs, key, name), key).collect()}
+        assert found == {k: pytest.approx(v) for k, v in want.items()}
+    counts = measures.stream_counts(docs, key, "fold", joined=True)
+    for code in ("entropy", "huffman", "fixed"):
+        cols = ["lang", "n_residual", "n_kinds", "n_factors", "bit_residual", "bit_kinds", "bit_factors", "alpha", "beta", "total_bits"]
+        want = sorted(map(tuple, measures.bit_costs(fold.fold(docs, ids), key, code).select(cols).collect()))
+        found = sorted(map(tuple, measures.stream_costs(counts, docs.select("lang").distinct(), key, code).select(cols).collect()))
+        assert [r[0] for r in found] == [r[0] for r in want] and [r[1:] for r in found] == [pytest.approx(r[1:]) for r in want]
