@@ -145,3 +145,20 @@ def test_stream_histograms_give_the_bits_of_whole_outputs(spark):
         want = sorted(map(tuple, measures.bit_costs(fold.fold(docs, ids), key, code).select(cols).collect()))
         found = sorted(map(tuple, measures.stream_costs(counts, docs.select("lang").distinct(), key, code).select(cols).collect()))
         assert [r[0] for r in found] == [r[0] for r in want] and [r[1:] for r in found] == [pytest.approx(r[1:]) for r in want]
+
+
+def test_families_and_fixtures_read_their_tables(spark):
+    from conftest import SF
+    from pyspark.sql import functions as F
+
+    from repeatfold.sources import tables
+    from repeatfold.workloads import methods
+
+    orders, customers = (methods.load_table(spark, SF, t).count() for t in ("orders", "customer"))
+    assert methods.hand_fixtures(spark, SF).agg(F.sum("customers")).first()[0] == customers
+    for rows, times in ((methods.family_fold(spark, SF), 1), (methods.gate_failure_grid(spark, SF), 3), (methods.gate_failure_two_blocks(spark, SF), 3)):
+        assert rows.agg(F.sum("n_orders")).first()[0] == times * orders
+    pairs = spark.createDataFrame([(1, 1), (8, 3), (79, 30)], "r long, s long")
+    for blocks, make in ((1, tables.adversarial_text), (2, tables.adversarial_text2)):
+        for r in tables.adversarial_units(pairs, blocks).collect():
+            assert r["codes"] == [ord(c) for c in make(r["r"], r["s"])]
