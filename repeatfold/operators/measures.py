@@ -180,21 +180,26 @@ def _union(frames: Sequence[DataFrame]) -> DataFrame:
 
 #: Each method's engine and options for ``stream_counts``.
 STREAMS = {
-    "fold": ("reach", {}), "simple": ("reach", {"mode": "simple"}), "gated": ("gated", {}), "longest": ("longest", {}), "pairs": ("pairs", {}), "lz77": ("lz77", {}), "chars": ("chars", {}),
+    "fold": ("reach", {}), "simple": ("reach", {"mode": "simple"}), "gated": ("gated", {"refused": False}), "longest": ("longest", {}), "pairs": ("pairs", {}), "lz77": ("lz77", {}), "chars": ("chars", {}),
 }
 
 
 def stream_counts(df: DataFrame, keys: Sequence[str], method: str, text_col: str = "text", joined: bool = False) -> DataFrame:
-    """``keys, stream, x, n``: symbols of the streams of a method's output over all units of a key. A unit's own histogram leaves the JVM, not its output.
+    """``keys, stream, x, n``: symbols of the streams of a method's output over all units of a key; see ``method_counts``."""
+    return method_counts(df, keys, [method], text_col, joined).drop("method")
+
+
+def method_counts(df: DataFrame, keys: Sequence[str], methods: Sequence[str], text_col: str = "text", joined: bool = False, limit: int = 0) -> DataFrame:
+    """``keys, method, stream, x, n``: the same of several methods, which share one order of each unit's suffixes. A task's own histograms leave
+    the JVM, not the outputs.
 
     Streams are those of ``fold_streams``, ``grammar_streams`` and ``lz77_streams`` (chars: the text itself); with ``joined`` pointers and lengths
     are one stream of pairs, ``factors``.
     """
     from repeatfold.kernels import jvm
 
-    engine, options = STREAMS[method]
-    rows = jvm.rows(df, keys, text_col, "stream string, x bigint, k bigint", "streams", engine, joined=joined, **options)
-    return rows.groupBy(*keys, "stream", "x").agg(F.sum("k").alias("n"))
+    rows = jvm.histograms(df, keys, text_col, {m: (STREAMS[m][0], STREAMS[m][1] | {"joined": joined}) for m in methods}, limit)
+    return rows.groupBy(*keys, "method", "stream", "x").agg(F.sum("k").alias("n"))
 
 
 @F.pandas_udf(DoubleType())
